@@ -25,3 +25,11 @@ def op1_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .embedding_dedup import link_vectors
 
     return link_vectors(table(spark, sf_dir, "embeddings"), threshold=0.98)
+
+
+@query
+def op2_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """4-word shingle sets at similarity >= 0.8, over all of ``documents``."""
+    from .minhash_dedup import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents"), width=4, percent=80)
