@@ -26,18 +26,23 @@ def agreeing_pairs(pairs: DataFrame, texts: DataFrame, prepare: Callable[[pa.Arr
         cut.select("hub", "chunk").distinct().select("hub", "chunk", F.lit(0).alias("role"), F.col("hub").alias("id"))
     )
     full = rows.join(texts, "id").select("hub", "chunk", "role", "id", "text")
-    dealt = full.repartition(parallelism(pairs.sparkSession), "hub", "chunk").sortWithinPartitions("hub", "chunk", "role")
+    return compare_dealt(full, prepare, agree).where("same").select("hub", "member")
+
+
+def compare_dealt(rows: DataFrame, prepare: Callable[[pa.Array], Iterator], agree: Callable[[object, object], bool]) -> DataFrame:
+    """``(hub, member, same)`` from rows ``(hub, chunk, role, id, text)``: role 0 is the hub, 1 a member."""
+    dealt = rows.repartition(parallelism(rows.sparkSession), "hub", "chunk").sortWithinPartitions("hub", "chunk", "role")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, base = None, None
         for b in batches:
             hubs, chunks, roles, ids = (b.column(i).to_pylist() for i in range(4))
-            out: list[tuple[int, int]] = []
+            out: list[tuple[int, int, bool]] = []
             for h, c, role, i, x in zip(hubs, chunks, roles, ids, prepare(b.column(4)), strict=True):
                 if role == 0:
                     key, base = (h, c), x
-                elif key == (h, c) and agree(base, x):
-                    out.append((h, i))
-            yield pa.RecordBatch.from_pydict({"hub": pa.array([o[0] for o in out], pa.int64()), "member": pa.array([o[1] for o in out], pa.int64())})
+                elif key == (h, c):
+                    out.append((h, i, bool(agree(base, x))))
+            yield pa.RecordBatch.from_pydict({"hub": pa.array([o[0] for o in out], pa.int64()), "member": pa.array([o[1] for o in out], pa.int64()), "same": pa.array([o[2] for o in out], pa.bool_())})
 
-    return dealt.mapInArrow(run, "hub long, member long")
+    return dealt.mapInArrow(run, "hub long, member long, same boolean")
