@@ -77,3 +77,14 @@ def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .quality import classify
 
     return classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), threshold=0.7)
+
+
+@query
+def op10_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Main text of every whole page."""
+    from pyspark.sql import functions as F
+
+    from .html_extract import extract
+
+    pages = table(spark, sf_dir, "pages").select("page_id", "url", "html")
+    return extract(pages).select("page_id", "url", "text", F.char_length("text").cast("long").alias("n_chars"))
