@@ -88,3 +88,32 @@ def op10_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     pages = table(spark, sf_dir, "pages").select("page_id", "url", "html")
     return extract(pages).select("page_id", "url", "text", F.char_length("text").cast("long").alias("n_chars"))
+
+
+#: Production setting of the sharding query.
+SHARDS = [f"shard-{k:03d}" for k in range(64)]
+
+
+@query
+def op3_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Slot and shard of every document by its id, over 64 shards and 65,537 slots."""
+    from .sharding import assign
+
+    return assign(table(spark, sf_dir, "documents").select("doc_id"), "doc_id", SHARDS)
+
+
+@query
+def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The maximal conversations of ``conversations``, rendered."""
+    from .chat import collapse
+
+    return collapse(table(spark, sf_dir, "conversations"))
+
+
+def _register_sql() -> None:
+    from . import chat, mixing
+
+    ORACLES.update({"op8_chat_format": chat.ORACLE, "op9_source_mixing": mixing.ORACLE})
+
+
+_register_sql()
