@@ -1,17 +1,57 @@
-"""The corpus pipeline: quality filter, near-dedup, source mixing, byte-level BPE."""
+"""The corpus pipeline: quality filter, near-dedup, source mixing, byte-level BPE.
+
+``STAGES`` are ``(name, function)``; a function takes ``(spark, docs, sf_dir)`` and returns a DataFrame, which
+is written as Parquet and read again as the next stage's ``docs``.
+"""
 
 from __future__ import annotations
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from cdfblend.llm import byte_bpe, minhash_dedup, mixing, quality
+from cdfblend.llm.workspace import Workspace
 
-#: The stages are models and iterative searches, which SQL does not express; tests hold them to brute force.
+#: The first stages are a fitted model and an iterative search, which SQL does not express; tests hold them to brute force.
 ORACLE_SQL = None
 
-STAGES: list = []
+
+def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the quality classifier accepts (score >= 0.7); without any labels, all of them."""
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
+    if labels.where("quality in (0, 1)").isEmpty():
+        return docs
+    model = quality.train(docs, labels)
+    return quality.score(docs, model, name="_score").where("_score >= 0.7").drop("_score")
+
+
+def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The smallest id of every group of near copies (five-word shingles, similarity >= 0.8); null ids stay."""
+    groups = minhash_dedup.near_duplicates(docs, width=5, percent=80)
+    gone = groups.where("doc_id is not null and not kept").select(F.col("doc_id").alias("_gone")).distinct()
+    return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Weights 5, 2, 1 by source, at most three epochs; a row stands as often as the mix repeats it."""
+    names = docs.columns
+    mixed = mixing.mix(docs, (5, 2, 1), 3.0).where("repeats > 0")
+    return mixed.select(*names, F.explode(F.sequence(F.lit(1), F.col("repeats").cast("int"))).alias("_copy")).drop("_copy")
+
+
+def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token ids of every row: ``doc_id, source, lang, n_tokens, token_ids`` (little-endian unsigned 32-bit)."""
+    ids = byte_bpe.encode_texts(docs.select("doc_id", "source", "lang", "text"), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
+    return ids.select("doc_id", "source", "lang", (F.octet_length("token_ids") / 4).cast("long").alias("n_tokens"), "token_ids")
+
+
+STAGES = [("quality", keep_good), ("near_dedup", keep_one_of_near_copies), ("mixing", mix_sources), ("byte_bpe", encode)]
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
-        docs = stage(spark, docs, sf_dir)
-    return docs
+    ws = Workspace(spark, "pipeline")
+    for name, stage in STAGES[:-1]:
+        docs = ws.save(stage(spark, docs, sf_dir), name)
+    return STAGES[-1][1](spark, docs, sf_dir)
