@@ -8,7 +8,7 @@
    member gives one star edge, so candidates are linear in the bucket.
 4. Star edges are confirmed on full sets, streamed by hub chunks (``hubs``), and contracted.
 5. A bucket whose members still lie in several components may hide links between non-hub members.  It is cut
-   into blocks; a tile (pair of blocks) prepares full sets and tests members of different components,
+   into blocks of bounded documents and shingles; a tile (pair of blocks) prepares full sets and tests members of different components,
    each pair in the first band that it shares, until they are joined or excluded.  A tile gives a
    spanning forest of confirmed links, never all pairs.
 
@@ -18,7 +18,7 @@ otherwise exact: no cap on buckets, partners or text length.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -33,7 +33,9 @@ from .workspace import Workspace, parallelism
 
 _U = np.uint64
 PROBES = 4096
-BLOCK = 256
+#: A block of an open bucket holds at most about so many documents and so many shingles.
+BLOCK = 2048
+BLOCK_SHINGLES = 300_000
 #: Standard deviations by which a tile's similarity estimate may fall short before a pair is excluded.
 SLACK = 6.0
 TILE_BINS = 512
@@ -122,21 +124,28 @@ def sketch(df: DataFrame, width: int, bands: int, rows: int) -> DataFrame:
     return df.mapInArrow(run, "id long, n long, digest binary, bands array<long>")
 
 
-def tile_forest(ids: list[int], comps: list[int], sets: list[np.ndarray], bands: np.ndarray, at: int, hub: int, cross: np.ndarray, percent: int) -> list[tuple[int, int]]:
+def tile_forest(ids: list[int], comps: list[int], sets: list[np.ndarray], bands: np.ndarray, at: int, hub: int, cross: Callable[[slice], np.ndarray], percent: int) -> list[tuple[int, int]]:
     """A spanning forest of confirmed links between different components of one tile.
 
-    ``cross[i, j]`` marks index pairs of the tile; pairs with the hub were tested before.
+    ``cross(rows)`` marks the index pairs of some rows that the tile is to test; pairs with the hub were tested before.
     """
     n = len(ids)
     comp = np.asarray(comps)
     size = np.array([len(s) for s in sets])
     free = np.asarray(ids) != hub
-    todo = cross & free[:, None] & free[None, :] & (comp[:, None] != comp[None, :])
-    todo &= 100 * np.minimum(size[:, None], size[None, :]) >= percent * np.maximum(size[:, None], size[None, :])
-    i, j = np.nonzero(todo)
-    if at and len(i):
-        fresh = np.concatenate([~(bands[i[q : q + 65536], :at] == bands[j[q : q + 65536], :at]).any(axis=1) for q in range(0, len(i), 65536)])
-        i, j = i[fresh], j[fresh]
+    ahead, behind = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    for lo in range(0, n, 128):  # by rows, so that no n x n table of numbers is held
+        r = slice(lo, lo + 128)
+        todo = cross(r) & free[r, None] & free[None, :] & (comp[r, None] != comp[None, :])
+        todo &= (100 * size[None, :] >= percent * size[r, None]) & (100 * size[r, None] >= percent * size[None, :])
+        i, j = np.nonzero(todo)
+        i += lo
+        if at and len(i):
+            fresh = np.concatenate([~(bands[i[q : q + 65536], :at] == bands[j[q : q + 65536], :at]).any(axis=1) for q in range(0, len(i), 65536)])
+            i, j = i[fresh], j[fresh]
+        ahead.append(i)
+        behind.append(j)
+    i, j = np.concatenate(ahead), np.concatenate(behind)
     if not len(i):
         return []
     used = np.unique(np.concatenate([i, j]))
@@ -171,8 +180,9 @@ def tile_forest(ids: list[int], comps: list[int], sets: list[np.ndarray], bands:
 def _open_buckets(ws: Workspace, members: DataFrame, comps: DataFrame, texts: DataFrame, sk: DataFrame, width: int, percent: int, block: int) -> DataFrame:
     """Links that the stars left open: tiles of buckets whose members lie in several components."""
     placed = members.join(comps.select(F.col("node").alias("id"), "component"), "id", "left").withColumn("component", F.coalesce("component", "id"))
-    open_ = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("size")).where("lo <> hi and size > 2")
-    rows = placed.join(open_.select("key", "size"), "key").withColumn("blocks", F.ceil(F.col("size") / block).cast("int"))
+    open_ = placed.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count("*").alias("size"), F.sum("n").alias("mass")).where("lo <> hi and size > 2")
+    blocks = F.greatest(F.ceil(F.col("size") / block), F.ceil(F.col("mass") / BLOCK_SHINGLES)).cast("int")
+    rows = placed.join(open_.select("key", "size", "mass"), "key").withColumn("blocks", blocks)
     rows = rows.withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     rows = rows.select("id", "component", "key", "band", "hub", F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), (F.col("own") > F.col("other")).cast("int").alias("side"))
     full = rows.join(texts, "id").join(sk.select("id", "bands"), "id")
@@ -186,8 +196,8 @@ def _open_buckets(ws: Workspace, members: DataFrame, comps: DataFrame, texts: Da
             if len(held) > 1:
                 side, ids, comps_, keys, sets = (list(x) for x in zip(*held, strict=True))
                 s = np.asarray(side)
-                above = np.arange(len(s))[:, None] < np.arange(len(s))[None, :]
-                cross = above if now[1] == now[2] else above & (s[:, None] != s[None, :])
+                nth, alone = np.arange(len(s)), now[1] == now[2]
+                cross = lambda r: (nth[r, None] < nth[None, :]) & (alone | (s[r, None] != s[None, :]))
                 links = tile_forest(ids, comps_, sets, np.stack(keys), now[3], now[4], cross, percent)
                 if links:
                     yield pa.RecordBatch.from_pydict({"hub": pa.array([x[0] for x in links], pa.int64()), "member": pa.array([x[1] for x in links], pa.int64())})
@@ -234,7 +244,7 @@ def near_duplicates(df: DataFrame, doc_id: str = "doc_id", text: str = "text", w
 
     links = ws.save(agreeing_pairs(stars, texts, prepare, lambda a, b: similar(a, b, percent)), "stars")
     first = connected_components(ws, links, "hub", "member")
-    more = ws.save(_open_buckets(ws, members.select("key", "band", "id", "hub"), first, texts, reps, width, percent, block), "open")
+    more = ws.save(_open_buckets(ws, members.select("key", "band", "id", "n", "hub"), first, texts, reps, width, percent, block), "open")
     ws.drop(texts, members)
     # The contracted stars stand for the links found before.
     joined = first.select(F.col("node").alias("hub"), F.col("component").alias("member")).unionAll(more)
