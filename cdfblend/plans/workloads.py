@@ -1,2 +1,243 @@
-def flagship(spark, sf):
-    raise NotImplementedError
+"""The experiment workloads on the given tables and on seeded simulations."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from .. import oracles as O
+from ..functions import levels as L
+from ..functions import readout as R
+from ..operators import baselines as B
+from ..operators import measures as A
+from ..operators.digest import Scheme
+from ..operators.leaf import summarize
+from ..operators.rollup import merge, merge_levels
+from ..registry import query
+from ..sources import simulate as S
+from ..sources.tables import ORDER, hierarchy, table
+from .methods import EXACT5, FIVE, LI_ORDER, VALUE, _supplier_digests, flat, leaf_lists, rolled
+
+T6 = list(L.TABLE_6)
+POOLED = Scheme(grid="logit:100:0.0025", report="list:0.0," + ",".join(map(repr, T6)) + ",1.0", batch=100, scale="log1p")
+TIERS = Scheme(grid="uniform:100", report="report11", batch=100, scale="log1p")
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One digest per user in one pass, rolled up to nations and regions, read at five levels."""
+    e = table(spark, sf_dir, "events")
+    d = summarize(e, ["user_id"], "value", ORDER["events"], Scheme(batch=41)).join(hierarchy(spark, sf_dir), "user_id")
+    region = merge_levels(d.select("region", "nation", "user_id", "digest"), [["region", "nation"], ["region"]], scheme=Scheme(batch=100))[-1]
+    return R.long(region, ["region"]).where(F.col("level").isin(0.05, 0.5, 0.9, 0.95, 0.99))
+
+
+# ---- pooled stream ----------------------------------------------------------------------------------------
+query("SELECT CAST(floor(ln(1 + value) / 0.25) AS BIGINT) AS cell, count(*) AS n FROM events GROUP BY ALL", "hist_events")(
+    lambda spark, sf: table(spark, sf, "events").groupBy(F.floor(F.log1p("value") / 0.25).alias("cell")).agg(F.count("*").alias("n"))
+)
+query("SELECT CAST(floor(ln(1 + n_chars) / 0.25) AS BIGINT) AS cell, count(*) AS n FROM documents GROUP BY ALL", "hist_docs")(
+    lambda spark, sf: table(spark, sf, "documents").groupBy(F.floor(F.log1p("n_chars") / 0.25).alias("cell")).agg(F.count("*").alias("n"))
+)
+
+
+def pooled(spark, sf, name: str, value: str) -> DataFrame:
+    """``level, estimate, exact, difference, two_se, within`` of one pooled stream."""
+    df = table(spark, sf, name)
+    grids = (POOLED.report,)
+    est = R.long(summarize(df, [], value, ORDER[name], POOLED), [], grids=grids).where(F.col("level").isin(T6))
+    ex = B.exact_quantiles(df, [], value, T6, "disc")
+    return A.within_two_se(A.compare(est, ex, []), A.asymptotic_se(df, value, T6)).drop("se")
+
+
+query(None, "tab1_events")(lambda spark, sf: pooled(spark, sf, "events", "value"))
+query(None, "tab1_docs")(lambda spark, sf: pooled(spark, sf, "documents", "n_chars"))
+query(" UNION ALL ".join(f"SELECT CAST({p} AS DOUBLE) AS level, quantile_disc(value, {p}) AS value FROM events" for p in T6), "tab1_exact")(
+    lambda spark, sf: B.exact_quantiles(table(spark, sf, "events"), [], "value", T6)
+)
+_SLICE = "SELECT 0 AS k, row_number() OVER (ORDER BY doc_id) AS rn, ln(1 + n_chars) AS x FROM (SELECT * FROM documents ORDER BY doc_id LIMIT 180) AS z"
+query(O.final(O.unrolled([float(p) for p in L.grid("logit:30:0.0025").levels], 3, 60, _SLICE), 3, "m AS i, round(exp(v) - 1, 6) AS value"), "tab1_slice")(
+    # the limit is the worked slice itself: three flushes that SQL can unroll
+    lambda spark, sf: summarize(table(spark, sf, "documents").orderBy("doc_id").limit(180), [], "n_chars", ["doc_id"], Scheme(grid="logit:30:0.0025", report="logit:30:0.0025", batch=60, scale="log1p")).select(F.posexplode("digest.vals").alias("i", "v")).select("i", F.round("v", 6).alias("value"))
+)
+
+# ---- the small worked picture: five knots, batches of ten, the third flush ------------------------------------
+_THIRTY = "SELECT * FROM (SELECT user_id AS k, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS rn, value AS x FROM events) AS z WHERE rn <= 30"
+
+
+@query(O.final(O.unrolled(FIVE, 3, 10, _THIRTY), 3, f"k AS user_id, {VALUE}"))
+def fig4_three_flushes(spark, sf):
+    from pyspark.sql import Window
+
+    e = table(spark, sf, "events").withColumn("rn", F.row_number().over(Window.partitionBy("user_id").orderBy("ts", "event_id"))).where("rn <= 30")
+    return flat(summarize(e, ["user_id"], "value", ["rn"], Scheme(grid="five", report="five", batch=10)), ["user_id"])
+
+
+# ---- simulations of single leaves -----------------------------------------------------------------------------
+UNIFORM = Scheme(grid="uniform:41", report="round41", batch=41)
+LOGIT = Scheme(grid="round41", report="round41", batch=41, interp="logit")
+
+
+def sim_small(spark, runs: int = 40, sizes=(1000, 10_000)) -> DataFrame:
+    return S.leaf_ratios(S.leaf_runs(spark, runs, sizes, {"uniform+linear": UNIFORM, "logit+logit": LOGIT}))
+
+
+query(None, "sim_ratio")(lambda spark, sf: sim_small(spark, 24))
+query(None, "sim_ratio_log")(lambda spark, sf: S.leaf_ratios(S.leaf_runs(spark, 16, (1000,), {"uniform+linear/log": UNIFORM.but(scale="log"), "logit+logit/log": LOGIT.but(scale="log")}, ("lognormal",))))
+
+
+def sim_large(spark, runs: int = 8, sizes=(1000, 10_000, 100_000)) -> DataFrame:
+    s = Scheme(grid="logit:1000:1e-6", report="list:0.0,0.01,0.05,0.1,0.25,0.5,0.75,0.9,0.95,0.99,1.0", batch=1000, interp="logit")
+    return S.leaf_ratios(S.leaf_runs(spark, runs, sizes, {"logit1000": s}, ("lognormal",)))
+
+
+query(None, "sim_ratio_mid")(lambda spark, sf: S.ratio_by_size(sim_large(spark)))
+query(None, "sim_growth")(lambda spark, sf: S.ratio_growth(sim_large(spark)))
+query(None, "sim_rmse")(lambda spark, sf: sim_small(spark, 16, (1000,)).select("arm", "dist", "n", "level", "rmse_est", "rmse_exact"))
+query(None, "sim_bias")(lambda spark, sf: sim_small(spark, 16, (1000,)).select("arm", "dist", "n", "level", "bias_est"))
+
+# ---- three tiers ------------------------------------------------------------------------------------------
+_hour, _day = F.date_trunc("hour", "ts").cast("timestamp_ntz"), F.date_trunc("day", "hour").cast("timestamp_ntz").alias("day")
+
+
+def tiers(spark, sf, scheme: Scheme = TIERS) -> list[DataFrame]:
+    """User-hour digests (raw, as cells are small), hours, days."""
+    e = table(spark, sf, "events").withColumn("hour", _hour)
+    cells = summarize(e, ["user_id", "hour"], "value", ORDER["events"], scheme)
+    return [cells, *merge_levels(cells, [["hour"], [_day]], scheme=scheme)]
+
+
+def _facts(df: DataFrame, *keys: str) -> DataFrame:
+    return df.select(*keys, F.col("digest.n").alias("n"), F.array_min("digest.vals").alias("low"), F.array_max("digest.vals").alias("high"))
+
+
+query("SELECT date_trunc('hour', ts) AS hour, count(*) AS n, min(value) AS low, max(value) AS high FROM events GROUP BY ALL", "tiers_events_hour")(lambda spark, sf: _facts(tiers(spark, sf)[1], "hour"))
+query("SELECT date_trunc('day', ts) AS day, count(*) AS n, min(value) AS low, max(value) AS high FROM events GROUP BY ALL", "tiers_events_day")(lambda spark, sf: _facts(tiers(spark, sf)[2], "day"))
+
+
+def tiers_lineitem(spark, sf, scheme: Scheme = TIERS) -> list[DataFrame]:
+    """Supplier-years, nation-years, region-years, regions: digests of full length from the first tier on."""
+    l = table(spark, sf, "lineitem").withColumn("year", F.year("l_shipdate"))
+    cells = summarize(l, ["l_suppkey", "year"], "l_extendedprice", ORDER["lineitem"], scheme)
+    s, n, r = (table(spark, sf, t) for t in ("supplier", "nation", "region"))
+    where = s.join(n, s.s_nationkey == n.n_nationkey).join(r, n.n_regionkey == r.r_regionkey).select(F.col("s_suppkey").alias("l_suppkey"), F.col("n_name").alias("nation"), F.col("r_name").alias("region"))
+    x = cells.join(where, "l_suppkey").select("region", "nation", "year", "l_suppkey", "digest")
+    return merge_levels(x, [["region", "nation", "year"], ["region", "year"], ["region"]], scheme=scheme)
+
+
+query("SELECT r_name AS region, count(*) AS n, min(l_extendedprice) AS low, max(l_extendedprice) AS high FROM lineitem JOIN supplier ON s_suppkey = l_suppkey JOIN nation ON n_nationkey = s_nationkey JOIN region ON r_regionkey = n_regionkey GROUP BY ALL", "tiers_lineitem")(
+    lambda spark, sf: _facts(tiers_lineitem(spark, sf)[-1], "region")
+)
+
+
+def series(spark, sf, tier: int, key: str) -> DataFrame:
+    """``key, level, estimate, exact, difference`` at the median and the 0.9 level."""
+    e = table(spark, sf, "events").withColumn("hour", _hour).withColumn("day", F.date_trunc("day", "ts").cast("timestamp_ntz"))
+    d = tiers(spark, sf)[tier].select(key, F.explode(F.array(*[F.struct(F.lit(p).alias("level"), R.quantile_at("digest", p).alias("value")) for p in (0.5, 0.9)])).alias("c")).select(key, "c.level", "c.value")
+    return A.compare(d, B.exact_quantiles(e, [key], "value", [0.5, 0.9]), [key])
+
+
+query(None, "fig7_series")(lambda spark, sf: series(spark, sf, 1, "hour").where("hour >= timestamp_ntz'2024-01-08' and hour < timestamp_ntz'2024-01-15'"))
+query(None, "fig8_series")(lambda spark, sf: series(spark, sf, 2, "day"))
+for _key, _trunc in (("hour", "hour"), ("day", "day")):
+    query(" UNION ALL ".join(f"SELECT date_trunc('{_trunc}', ts) AS {_key}, CAST({p} AS DOUBLE) AS level, quantile_disc(value, {p}) AS value FROM events GROUP BY ALL" for p in (0.5, 0.9)), f"tab2_exact_{_key}")(
+        lambda spark, sf, key=_key: B.exact_quantiles(table(spark, sf, "events").withColumn(key, F.date_trunc(key, "ts").cast("timestamp_ntz")), [key], "value", [0.5, 0.9])
+    )
+query(None, "tab2_hour")(lambda spark, sf: A.within_fraction(series(spark, sf, 1, "hour"), ["level"]))
+query(None, "tab2_day")(lambda spark, sf: A.within_fraction(series(spark, sf, 2, "day"), ["level"]))
+
+# ---- inhomogeneous leaves -----------------------------------------------------------------------------------
+query(None, "inhomog_ratio")(lambda spark, sf: S.inhomogeneous_ratios(S.inhomogeneous_runs(spark, 6, leaves=400, per_leaf=200)))
+
+
+def inhomog_suppliers(spark, sf, scheme: Scheme = EXACT5) -> DataFrame:
+    """Every hundredth supplier sells at a hundred times the price."""
+    l = table(spark, sf, "lineitem").withColumn("price", F.when(F.col("l_suppkey") % 100 == 0, F.col("l_extendedprice") * 100).otherwise(F.col("l_extendedprice")))
+    return summarize(l, ["l_suppkey"], "price", ORDER["lineitem"], scheme)
+
+
+_FAR = "SELECT l_suppkey AS k, CASE WHEN l_suppkey % 100 = 0 THEN l_extendedprice * 100 ELSE l_extendedprice END AS x FROM lineitem"
+query(rolled(_FAR, FIVE, "0", "k", 4, 25, VALUE), "inhomog_suppliers")(lambda spark, sf: flat(merge(inhomog_suppliers(spark, sf), [], "digest", ["l_suppkey"], EXACT5.but(batch=25)), []))
+query(rolled(_FAR, FIVE, "0", "(SELECT v FROM dg WHERE dg.k = ll.k AND dg.m = 2), k", 4, 25, VALUE), "inhomog_sorted")(
+    lambda spark, sf: flat(merge(inhomog_suppliers(spark, sf), [], "digest", [F.get("digest.vals", F.lit(2)), "l_suppkey"], EXACT5.but(batch=25)), [])
+)
+
+# ---- ablations --------------------------------------------------------------------------------------------
+
+
+def _error(spark, sf, scheme: Scheme, **tags) -> DataFrame:
+    """Mean absolute relative error over the six levels, per event type."""
+    e = table(spark, sf, "events")
+    s = scheme.but(report=POOLED.report)
+    est = R.long(summarize(e, ["event_type"], "value", ORDER["events"], s), ["event_type"], grids=(s.report,)).where(F.col("level").isin(T6))
+    c = A.compare(est, B.exact_quantiles(e, ["event_type"], "value", T6), ["event_type"])
+    return c.agg(F.avg(F.abs("difference") / F.col("exact")).alias("error")).select(*[F.lit(v).alias(k) for k, v in tags.items()], "error")
+
+
+def _union(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionAll(p)
+    return out
+
+
+query(None, "ablate_sizes")(lambda spark, sf: _union([_error(spark, sf, Scheme(grid=f"uniform:{m}", batch=b), knots=m, batch=b) for m in (11, 41, 101) for b in (20, 100, 400)]))
+query(None, "ablate_scheme")(
+    lambda spark, sf: _union(
+        [_error(spark, sf, Scheme(grid=g, batch=41, interp=i, scale=c), grid=g, interp=i, scale=c) for g in ("uniform:41", "round41") for i in ("linear", "logit") for c in ("identity", "log1p")]
+    )
+)
+
+
+def _record_error(spark, sf, m: int) -> DataFrame:
+    g = f"uniform:{m}"
+    s = Scheme(grid=g, report=g, batch=None)
+    l = table(spark, sf, "lineitem")
+    d = _supplier_digests(spark, sf, s)
+    est = R.long(merge(d, ["s_nationkey"], "digest", ["l_suppkey"], Scheme(grid="uniform:101", report="list:0.0,0.25,0.5,0.75,1.0", batch=10)), ["s_nationkey"], grids=("list:0.0,0.25,0.5,0.75,1.0",))
+    x = l.join(table(spark, sf, "supplier"), l.l_suppkey == F.col("s_suppkey"))
+    c = A.compare(est, B.exact_quantiles(x, ["s_nationkey"], "l_extendedprice", [0.25, 0.5, 0.75]), ["s_nationkey"])
+    return c.agg(F.avg(F.abs("difference") / F.col("exact")).alias("error")).select(F.lit(m).alias("record"), "error")
+
+
+query(None, "ablate_record_length")(lambda spark, sf: _union([_record_error(spark, sf, m) for m in (5, 10, 20, 50)]))
+
+# ---- slices, rankings, other domains ------------------------------------------------------------------------
+_H = "events AS e JOIN customer AS c ON c.c_custkey = e.user_id JOIN nation AS n ON n.n_nationkey = c.c_nationkey JOIN region AS r ON r.r_regionkey = n.n_regionkey"
+query(rolled(f"SELECT struct_pack(u := user_id, t := event_type, r := r_name) AS k, value AS x FROM {_H} WHERE event_type IN ('error', 'purchase')", FIVE, "struct_pack(r := k.r, t := k.t)", "k.u", 1, 10**9, f"k.r AS region, k.t AS event_type, {VALUE}", raw_below=5), "slice_region_type")(
+    lambda spark, sf: flat(
+        merge(summarize(table(spark, sf, "events").where(F.col("event_type").isin("error", "purchase")), ["user_id", "event_type"], "value", ORDER["events"], EXACT5).join(hierarchy(spark, sf), "user_id"), ["region", "event_type"], "digest", ["user_id"], EXACT5),
+        ["region", "event_type"],
+    )
+)
+query(f"SELECT n_name AS nation, count(*) AS n, quantile_disc(value, 0.99) AS p99, CAST(count(*) FILTER (WHERE event_type = 'error') AS DOUBLE) / count(*) AS error_share FROM {_H} GROUP BY n_name", "tail_by_nation")(
+    lambda spark, sf: table(spark, sf, "events").join(hierarchy(spark, sf), "user_id").groupBy("nation").agg(F.count("*").alias("n"), F.expr("percentile_disc(0.99) within group (order by value)").alias("p99"), (F.count_if(F.col("event_type") == "error") / F.count("*")).alias("error_share"))
+)
+query(f"SELECT n_name AS nation, quantile_disc(value, 0.99) AS p99 FROM {_H} GROUP BY n_name ORDER BY p99 DESC, nation LIMIT 5", "worst_nations_topk")(
+    lambda spark, sf: table(spark, sf, "events").join(hierarchy(spark, sf), "user_id").groupBy("nation").agg(F.expr("percentile_disc(0.99) within group (order by value)").alias("p99")).orderBy(F.desc("p99"), "nation").limit(5)
+)
+_DAYS = f"SELECT l_suppkey AS k, row_number() OVER (PARTITION BY l_suppkey ORDER BY {LI_ORDER}, o_orderdate) AS rn, (epoch(l_shipdate) - epoch(o_orderdate)) / 86400.0 AS x FROM lineitem JOIN orders ON o_orderkey = l_orderkey"
+
+
+@query(O.final(O.unrolled(FIVE, 8, 100, _DAYS), 8, f"k AS l_suppkey, {VALUE}"))
+def ship_delay_leaf(spark, sf):
+    """Days from order to shipment per supplier; values of both signs, so the natural scale."""
+    l, o = table(spark, sf, "lineitem"), table(spark, sf, "orders")
+    j = l.join(o, l.l_orderkey == o.o_orderkey).withColumn("days", (F.unix_seconds(F.col("l_shipdate").cast("timestamp")) - F.unix_seconds(F.col("o_orderdate").cast("timestamp"))) / 86400)
+    return flat(summarize(j, ["l_suppkey"], "days", [*ORDER["lineitem"], "o_orderdate"], Scheme(grid="five", report="five", batch=100)), ["l_suppkey"])
+
+
+query("SELECT p_brand, CAST(p_size AS DOUBLE) AS atom, count(*) AS n FROM part WHERE p_size IN (1, 10, 25, 50) GROUP BY ALL", "spikes_part_size")(
+    lambda spark, sf: __import__("cdfblend.operators.extensions", fromlist=["x"]).spike_counts(table(spark, sf, "part"), ["p_brand"], "p_size", [1, 10, 25, 50])
+)
+query(f"WITH {leaf_lists('SELECT quality AS k, toxic AS x FROM labels WHERE quality IS NOT NULL AND toxic IS NOT NULL', FIVE)} SELECT k AS quality, p AS level, round(v, 7) AS value FROM dg", "two_atom_labels")(
+    lambda spark, sf: flat(summarize(table(spark, sf, "labels").where("quality is not null"), ["quality"], "toxic", ["doc_id"], EXACT5), ["quality"])
+)
+query(f"WITH {leaf_lists('SELECT lang AS k, n_chars AS x FROM documents', FIVE)} SELECT k AS lang, p AS level, round(v, 7) AS value FROM dg", "text_lengths")(
+    lambda spark, sf: flat(summarize(table(spark, sf, "documents"), ["lang"], "n_chars", ["doc_id"], EXACT5), ["lang"])
+)
+query(f"WITH {leaf_lists('SELECT role AS k, length(text) AS x FROM conversations', FIVE)} SELECT k AS role, p AS level, round(v, 7) AS value FROM dg", "turn_lengths")(
+    lambda spark, sf: flat(summarize(table(spark, sf, "conversations").withColumn("chars", F.char_length("text")), ["role"], "chars", ["conv_id", "turn"], EXACT5), ["role"])
+)
+query(f"WITH {leaf_lists('SELECT 0 AS k, length(html) AS x FROM pages', FIVE)} SELECT p AS level, round(v, 7) AS value FROM dg", "page_lengths")(
+    lambda spark, sf: flat(summarize(table(spark, sf, "pages").withColumn("chars", F.char_length("html")), [], "chars", ["page_id"], EXACT5), [])
+)
