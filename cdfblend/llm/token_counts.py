@@ -15,16 +15,53 @@ from __future__ import annotations
 
 import hashlib
 import json
+import re
 from collections.abc import Iterator
 from functools import lru_cache
 
 import pyarrow as pa
+import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .workspace import Workspace
 
 PIECE_CHARS = 1 << 20
+MEMORY_WORDS = 500_000
+#: Fixed value: the word pattern for which counts of words add up to the count of a text.
+WORD_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+#: White space as the tokenizers library's patterns have it, as the inside of a character class.
+WHITE = "\\x09-\\x0d\\x20\\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
+_BEYOND_LATIN = re.compile("[^\x00-\u024f]").search
+
+
+class WordCounts:
+    """Token counts as sums over words, for a tokenizer whose pre-tokenizer keeps words apart.
+
+    Each distinct word is encoded once by the library and its count is kept (up to a bounded number of words).
+    Latin texts need no normalisation but lower case.  Texts with other characters, and texts that hold ``<|``
+    (special strings are matched first), go to the library whole.
+    """
+
+    def __init__(self, tokenizer, pattern: str):
+        self.tokenizer = tokenizer
+        self.pattern = regex.compile(pattern.replace("\\s", WHITE))
+        self.memory: dict[str, int] = {}
+
+    def whole(self, texts: list[str]) -> list[int]:
+        return [len(e) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def __call__(self, texts: list[str]) -> list[int]:
+        split = []
+        for t in texts:
+            split.append(None if "<|" in t or _BEYOND_LATIN(t) else self.pattern.findall(t.lower()))
+        found = set().union(*[w for w in split if w])
+        if len(self.memory) + len(found) > MEMORY_WORDS:
+            self.memory.clear()
+        new = [w for w in found if w not in self.memory]
+        self.memory.update(zip(new, self.whole(new), strict=True))
+        count = self.memory.__getitem__
+        return [self.whole([t])[0] if w is None else sum(map(count, w)) for t, w in zip(texts, split, strict=True)]
 
 
 @lru_cache(maxsize=4)
@@ -39,6 +76,9 @@ def load(path: str):
         t = Tokenizer.from_file(path)
         t.no_truncation()
         t.no_padding()
+        if version(path)[1]:
+            with open(path, encoding="utf-8") as f:
+                return WordCounts(t, json.load(f)["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"])
         return lambda texts: [len(e) for e in t.encode_batch_fast(texts, add_special_tokens=False)]
     if path.endswith(".model"):
         import sentencepiece
@@ -57,7 +97,8 @@ def version(path: str) -> tuple[str, bool]:
         spec = json.loads(raw)
         steps = [n.get("type") for n in (spec.get("normalizer") or {}).get("normalizers", [])]
         splits = [s.get("behavior") for s in (spec.get("pre_tokenizer") or {}).get("pretokenizers", [])]
-        folds = steps == ["NFC", "Replace", "Lowercase"] and splits[:1] == ["Removed"]
+        pattern = ((spec.get("pre_tokenizer") or {}).get("pretokenizers") or [{}])[0].get("pattern", {}).get("Regex", "")
+        folds = steps == ["NFC", "Replace", "Lowercase"] and splits[:1] == ["Removed"] and pattern == WORD_PATTERN
     return hashlib.sha256(raw).hexdigest()[:24], folds
 
 
