@@ -194,7 +194,8 @@ def partial_digests(src: DataFrame, ks: list[str], os_: list[str], scheme: Schem
             for key in keys:
                 x = open_.pop(key)
                 x.flush()
-                if (d := x.summary.digest(parts=1)) is not None:
+                d = x.summary.digest(parts=1)
+                if d is not None or x.skipped:
                     rows.append({k: dict(v.items) if isinstance(v, _Struct) else v for k, v in zip(ks, key, strict=True)} | {"digest": d, "n_skipped": x.skipped})
             if rows:
                 yield pa.RecordBatch.from_pylist(rows, schema=arrow)

@@ -173,15 +173,15 @@ query(None, "agg_acd")(lambda spark, sf: ev(spark, sf).groupBy("event_type").agg
 query(None, "agg_hist")(lambda spark, sf: ev(spark, sf).groupBy("event_type").agg(F.histogram_numeric("value", F.lit(10)).alias("h")))
 
 # ---- windows, order, limits, sets -------------------------------------------------------------------------
-_by_value = Window.partitionBy("user_id").orderBy("value", "event_id")
-_plain = Window.partitionBy("user_id").orderBy("value")
-_arrive = Window.partitionBy("user_id").orderBy("ts", "event_id")
+_by_value = lambda: Window.partitionBy("user_id").orderBy("value", "event_id")
+_plain = lambda: Window.partitionBy("user_id").orderBy("value")
+_arrive = lambda: Window.partitionBy("user_id").orderBy("ts", "event_id")
 query("SELECT event_id, row_number() OVER w AS rn, rank() OVER v AS rk, dense_rank() OVER v AS dr, round(percent_rank() OVER v, 9) AS pr, ntile(4) OVER w AS nt FROM events WINDOW w AS (PARTITION BY user_id ORDER BY value, event_id), v AS (PARTITION BY user_id ORDER BY value)", "win_rank")(
-    lambda spark, sf: ev(spark, sf).select("event_id", F.row_number().over(_by_value).alias("rn"), F.rank().over(_plain).alias("rk"), F.dense_rank().over(_plain).alias("dr"), F.round(F.percent_rank().over(_plain), 9).alias("pr"), F.ntile(4).over(_by_value).alias("nt"))
+    lambda spark, sf: ev(spark, sf).select("event_id", F.row_number().over(_by_value()).alias("rn"), F.rank().over(_plain()).alias("rk"), F.dense_rank().over(_plain()).alias("dr"), F.round(F.percent_rank().over(_plain()), 9).alias("pr"), F.ntile(4).over(_by_value()).alias("nt"))
 )
-query("SELECT event_id, round(cume_dist() OVER (PARTITION BY user_id ORDER BY value), 9) AS share FROM events", "win_cume")(lambda spark, sf: ev(spark, sf).select("event_id", F.round(F.cume_dist().over(_plain), 9).alias("share")))
+query("SELECT event_id, round(cume_dist() OVER (PARTITION BY user_id ORDER BY value), 9) AS share FROM events", "win_cume")(lambda spark, sf: ev(spark, sf).select("event_id", F.round(F.cume_dist().over(_plain()), 9).alias("share")))
 query("SELECT event_id, epoch_us(ts) - epoch_us(lag(ts) OVER w) AS gap, lead(event_id) OVER w AS next_id FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", "win_lag")(
-    lambda spark, sf: (lambda us: ev(spark, sf).select("event_id", (us - F.lag(us).over(_arrive)).alias("gap"), F.lead("event_id").over(_arrive).alias("next_id")))(F.unix_micros(F.col("ts").cast("timestamp")))
+    lambda spark, sf: (lambda us: ev(spark, sf).select("event_id", (us - F.lag(us).over(_arrive())).alias("gap"), F.lead("event_id").over(_arrive()).alias("next_id")))(F.unix_micros(F.col("ts").cast("timestamp")))
 )
 query("SELECT DISTINCT date_trunc('day', ts) AS day, first_value(value) OVER w AS first, last_value(value) OVER w AS last, nth_value(value, 3) OVER w AS third FROM events WINDOW w AS (PARTITION BY date_trunc('day', ts) ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)", "win_value")(
     lambda spark, sf: (lambda w: ev(spark, sf).withColumn("day", F.date_trunc("day", "ts").cast("timestamp_ntz")).select("day", F.first("value").over(w).alias("first"), F.last("value").over(w).alias("last"), F.nth_value("value", 3).over(w).alias("third")).distinct())(
@@ -189,14 +189,14 @@ query("SELECT DISTINCT date_trunc('day', ts) AS day, first_value(value) OVER w A
     )
 )
 query("SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 19 PRECEDING AND CURRENT ROW), 6) AS moving FROM events", "win_rows")(
-    lambda spark, sf: ev(spark, sf).select("event_id", r6(F.avg("value").over(_arrive.rowsBetween(-19, 0))).alias("moving"))
+    lambda spark, sf: ev(spark, sf).select("event_id", r6(F.avg("value").over(_arrive().rowsBetween(-19, 0))).alias("moving"))
 )
 query("SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY CAST(floor(epoch(ts)) AS BIGINT) RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS day_before FROM events", "win_range")(
     lambda spark, sf: ev(spark, sf).withColumn("s", F.unix_seconds(F.col("ts").cast("timestamp"))).select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy("s").rangeBetween(-86400, 0)).alias("day_before"))
 )
-query("SELECT event_id, (row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1) // 41 AS batch FROM events", "win_batch_id")(lambda spark, sf: ev(spark, sf).select("event_id", F.floor((F.row_number().over(_arrive) - 1) / 41).alias("batch")))
+query("SELECT event_id, (row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1) // 41 AS batch FROM events", "win_batch_id")(lambda spark, sf: ev(spark, sf).select("event_id", F.floor((F.row_number().over(_arrive()) - 1) / 41).alias("batch")))
 query("SELECT event_id, min(value) OVER w AS low, max(value) OVER w AS high FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW)", "win_running_extremes")(
-    lambda spark, sf: (lambda w: ev(spark, sf).select("event_id", F.min("value").over(w).alias("low"), F.max("value").over(w).alias("high")))(_arrive.rowsBetween(Window.unboundedPreceding, 0))
+    lambda spark, sf: (lambda w: ev(spark, sf).select("event_id", F.min("value").over(w).alias("low"), F.max("value").over(w).alias("high")))(_arrive().rowsBetween(Window.unboundedPreceding, 0))
 )
 query("SELECT event_id, value FROM events ORDER BY value DESC, event_id", "sort_all")(lambda spark, sf: ev(spark, sf).select("event_id", "value").orderBy(F.desc("value"), "event_id"))
 query("SELECT event_id, value FROM events ORDER BY value DESC, event_id LIMIT 25", "topk_tail")(lambda spark, sf: ev(spark, sf).select("event_id", "value").orderBy(F.desc("value"), "event_id").limit(25))

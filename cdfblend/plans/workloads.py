@@ -96,14 +96,15 @@ query(None, "sim_rmse")(lambda spark, sf: sim_small(spark, 16, (1000,)).select("
 query(None, "sim_bias")(lambda spark, sf: sim_small(spark, 16, (1000,)).select("arm", "dist", "n", "level", "bias_est"))
 
 # ---- three tiers ------------------------------------------------------------------------------------------
-_hour, _day = F.date_trunc("hour", "ts").cast("timestamp_ntz"), F.date_trunc("day", "hour").cast("timestamp_ntz").alias("day")
+_hour = lambda: F.date_trunc("hour", "ts").cast("timestamp_ntz")
+_day = lambda: F.date_trunc("day", "hour").cast("timestamp_ntz").alias("day")
 
 
 def tiers(spark, sf, scheme: Scheme = TIERS) -> list[DataFrame]:
     """User-hour digests (raw, as cells are small), hours, days."""
-    e = table(spark, sf, "events").withColumn("hour", _hour)
+    e = table(spark, sf, "events").withColumn("hour", _hour())
     cells = summarize(e, ["user_id", "hour"], "value", ORDER["events"], scheme)
-    return [cells, *merge_levels(cells, [["hour"], [_day]], scheme=scheme)]
+    return [cells, *merge_levels(cells, [["hour"], [_day()]], scheme=scheme)]
 
 
 def _facts(df: DataFrame, *keys: str) -> DataFrame:
@@ -131,7 +132,7 @@ query("SELECT r_name AS region, count(*) AS n, min(l_extendedprice) AS low, max(
 
 def series(spark, sf, tier: int, key: str) -> DataFrame:
     """``key, level, estimate, exact, difference`` at the median and the 0.9 level."""
-    e = table(spark, sf, "events").withColumn("hour", _hour).withColumn("day", F.date_trunc("day", "ts").cast("timestamp_ntz"))
+    e = table(spark, sf, "events").withColumn("hour", _hour()).withColumn("day", F.date_trunc("day", "ts").cast("timestamp_ntz"))
     d = tiers(spark, sf)[tier].select(key, F.explode(F.array(*[F.struct(F.lit(p).alias("level"), R.quantile_at("digest", p).alias("value")) for p in (0.5, 0.9)])).alias("c")).select(key, "c.level", "c.value")
     return A.compare(d, B.exact_quantiles(e, [key], "value", [0.5, 0.9]), [key])
 
