@@ -271,8 +271,8 @@ query(
 )(lambda spark, sf: flat(summarize(li(spark, sf).withColumn("_p", F.col("l_extendedprice")), ["l_suppkey"], "", ["l_shipdate", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "_p"], Scheme(grid="five", report="five", batch=250), metrics=_METRICS), ["l_suppkey", "metric"]))
 
 
-@query(_MID)
-def digest_agg_query(spark, sf):
+@query(_MID, "digest_agg")
+def _digest_agg(spark, sf):
     return flat(ev(spark, sf).groupBy("user_id").agg(digest_agg(EXACT)("value").alias("digest")), ["user_id"])
 
 
@@ -547,3 +547,17 @@ def order_gap(spark, sf):
     a = R.long(merge(d, ["s_nationkey"], "digest", [F.md5(F.col("l_suppkey").cast("string"))], s), ["s_nationkey"])
     b = R.long(merge(d, ["s_nationkey"], "digest", [F.get("digest.vals", F.lit(2))], s), ["s_nationkey"])
     return A.order_gap(a, b, ["s_nationkey"])
+
+
+@query("SELECT date_trunc('day', ts) AS day, count(*) AS n, count(DISTINCT date_trunc('hour', ts)) AS parts, min(value) AS low, max(value) AS high FROM events WHERE ts >= TIMESTAMP '2024-01-05' AND ts < TIMESTAMP '2024-01-20' GROUP BY ALL")
+def planned_slice(spark, sf):
+    """A request by day: the planner reads the hour tier and not the user-hour tier, and derives the day."""
+    from .planner import Tier, answer
+
+    e = ev(spark, sf).withColumn("hour", F.date_trunc("hour", "ts").cast("timestamp_ntz"))
+    tiers = [
+        Tier("user_hour", ("user_id", "hour"), 100_000, lambda: _user_hours(spark, sf, _S41)),
+        Tier("hour", ("hour",), 720, lambda: summarize(e, ["hour"], "value", ORDER["events"], _S41)),
+        Tier("user", ("user_id",), 1_500, lambda: _user_digests(spark, sf, _S41)),
+    ]
+    return _facts(answer(tiers, ["day"], "day >= timestamp_ntz'2024-01-05' and day < timestamp_ntz'2024-01-20'", scheme=_S41), "day")
