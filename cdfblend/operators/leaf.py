@@ -181,7 +181,7 @@ def _hashable(v):
     return _Struct(v) if isinstance(v, dict) else v
 
 
-def partial_digests(src: DataFrame, ks: list[str], os_: list[str], scheme: Scheme) -> DataFrame:
+def partial_digests(src: DataFrame, ks: list[str], os_: list[str], scheme: Scheme, max_open: int = MAX_OPEN_KEYS) -> DataFrame:
     """Digests per (task, key) without moving a row; several per key where a task closes states early."""
     nk, vcol = len(ks), len(ks) + len(os_)
     schema, arrow = out_schema(src, ks, T.StructField("digest", DIGEST), T.StructField("n_skipped", T.LongType()))
@@ -227,7 +227,7 @@ def partial_digests(src: DataFrame, ks: list[str], os_: list[str], scheme: Schem
                 x = open_.pop(key, None) or _Intake(scheme)
                 open_[key] = x  # most recent last
                 x.add(values[rows])
-            if len(open_) > MAX_OPEN_KEYS:
+            if len(open_) > max_open:
                 yield from close(list(open_)[: len(open_) // 2])
         yield from close(list(open_))
 

@@ -125,3 +125,20 @@ def test_baselines_against_exact(ev):
         for r in B.stochastic_quantile(ev, ["event_type"], "value", ORDER["events"], 0.5, w).collect():
             assert abs(r.value - exact[r.event_type, 0.5]) < 2 * spread[r.event_type, 0.5]
     assert B.multipass_select(ev, "value", 0.5, memory=50).first().value == B.exact_quantiles(ev, [], "value", [0.5]).first().value
+
+
+def test_partial_states_are_bounded(ev):
+    from cdfblend.operators.leaf import keyed, partial_digests
+
+    src, ks, os_ = keyed(ev.repartition(3), ["user_id", "event_type"], "value", [])
+    few, many = (partial_digests(src, ks, os_, S, n) for n in (4, 10_000))
+    total = lambda d: {tuple(r) for r in d.groupBy(*ks).agg(F.sum("digest.n"), F.min(F.array_min("digest.vals")), F.max(F.array_max("digest.vals"))).collect()}
+    assert total(few) == total(many)
+
+
+def test_sql_surface(spark):
+    from cdfblend.functions.sqlsurface import register
+
+    register(spark)
+    got = [r.y for r in spark.sql("SELECT logit(p) AS y FROM VALUES (0.5D), (0.0D), (1.0D), (CAST(NULL AS DOUBLE)), (0.75D) AS t(p)").collect()]
+    assert got[0] == 0 and got[1:4] == [None, None, None] and got[4] == pytest.approx(np.log(3))
