@@ -49,12 +49,15 @@ class _Writer:
     def junk(self) -> str:
         r = self.r.random()
         if r < 0.25:
-            return self.box(self.r.choice(["div", "aside", "section"]), "ad ads advert banner sponsored promo", self.r.choice([self.prose(1, 3), f"<p>{self.prose(1, 2)}</p>", self.link()]))
+            tag = self.r.choice(["div", "aside", "section", "p"])
+            return self.box(tag, "ad ads advert banner sponsored promo", self.prose(1, 3) if tag == "p" else self.r.choice([self.prose(1, 3), f"<p>{self.prose(1, 2)}</p>", self.link()]))
         if r < 0.4:
             return self.plain_or("aside", "sidebar related widget popular", f"<h3>{self.words(1, 3)}</h3>" + self.r.choice([self.links(), f"<p>{self.prose(1, 3)}</p>"]))
         if r < 0.5:
             return self.box("div", "share social follow", self.links())
         if r < 0.65:
+            if self.r.random() < 0.2:
+                return self.box("p", "notice alert newsletter", self.prose(1, 2))
             return self.box("div", "cookie-notice consent newsletter popup notice alert", f"<p>{self.prose(1, 2)}</p>" + self.r.choice(["", f"<button>{self.words(1, 2)}</button>"]))
         if r < 0.8:
             inner = f"<label>{self.words(1, 3)}</label><input name=x><select><option>{self.word()}<option>{self.word()}</select><button>{self.words(1, 2)}</button>"
