@@ -3,8 +3,8 @@
 Texts are split by the vocabulary's pattern.  The distinct new words of an Arrow batch form one corpus of
 symbols in a linked list; an inverted index leads from a token pair to its positions.  Pairs are
 taken in rank order, each applied at all its positions from left to right, and only the touched
-neighbours get new index entries.  The ids of a word are kept for the life of the worker up to a
-bounded number of words, so a word is replayed once per worker and not once per occurrence.
+neighbours get new index entries.  The ids of a word are kept for the life of the worker, in two
+generations of bounded size (words in use outlive the others), so a common word is replayed once per worker.
 
 Encoding needs no shuffle and no state between rows beyond that bounded memory.
 """
@@ -24,6 +24,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+#: Words of each of the two generations that a worker keeps.
 MEMORY_WORDS = 400_000
 
 
@@ -37,6 +38,7 @@ class ByteBpe:
         self.single = [ranks[bytes([b])] for b in range(256)]
         self.pairs: dict[int, int | None] = {}
         self.memory: dict[str, bytes] = {}
+        self.elder: dict[str, bytes] = {}
 
     def pair_rank(self, a: int, b: int) -> int | None:
         key = (a << 32) | b
@@ -110,8 +112,11 @@ class ByteBpe:
 
     def learn(self, found: set[str]) -> None:
         if len(self.memory) + len(found) > MEMORY_WORDS:
-            self.memory.clear()
-        new = [w for w in found if w not in self.memory]
+            self.elder, self.memory = self.memory, {}
+        missing = found.difference(self.memory)
+        known = missing.intersection(self.elder)  # words in use move to the young generation
+        self.memory.update((w, self.elder[w]) for w in known)
+        new = list(missing.difference(known))
         for lo in range(0, len(new), 20_000):
             part = new[lo : lo + 20_000]
             for w, ids in zip(part, self.replay([w.encode() for w in part]), strict=True):
