@@ -23,6 +23,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_type
 
+from ..functions.levels import grid
+from ..functions.scale import scale
 from .digest import DIGEST, DIGEST_ARROW, STATE_ARROW, STATE_DDL, Scheme, Summary
 from .keyjoin import join_on
 from .rollup import merge
@@ -36,11 +38,28 @@ class _Intake:
     """A summary with its pending batch."""
 
     def __init__(self, scheme: Scheme, summary: Summary | None = None):
-        self.scheme, self.summary = scheme, summary or Summary(scheme)
+        self.scheme, self._summary = scheme, summary
         self.pending: list[np.ndarray] = []
         self.held = 0
         self.skipped = 0
 
+    @property
+    def summary(self) -> Summary:
+        if self._summary is None:
+            self._summary = Summary(self.scheme)
+        return self._summary
+
+    def digest(self) -> dict | None:
+        """Close the last batch; a key with fewer values than the record has needs no summary at all."""
+        if self._summary is None and self.held < len(grid(self.scheme.report).levels):
+            if not self.held:
+                return None
+            values = np.sort(np.concatenate(self.pending))
+            scale(self.scheme.scale).check(values)
+            return {"n": self.held, "parts": 1, "raw": True, "grid": None, "scale": self.scheme.scale, "vals": values.tolist()}
+        self.flush()
+        return self.summary.digest(parts=1)
+
     def add(self, values: np.ndarray) -> None:
         usable = ~np.isnan(values)
         if np.isinf(values).any():
@@ -136,8 +155,9 @@ def summarize(df: DataFrame, keys: Sequence[str | Column], value: str | Column,
 
         def finish(key: tuple, cell: list) -> dict | None:
             x = cell[0]
-            x.flush()
-            d = x.summary.digest(parts=1)
+            if emit_state:
+                x.flush()
+            d = x.digest()
             if d is None:
                 return None
             row = dict(zip(ks, key, strict=True)) | {"digest": d, "n_skipped": x.skipped}
@@ -193,8 +213,7 @@ def partial_digests(src: DataFrame, ks: list[str], os_: list[str], scheme: Schem
             rows = []
             for key in keys:
                 x = open_.pop(key)
-                x.flush()
-                d = x.summary.digest(parts=1)
+                d = x.digest()
                 if d is not None or x.skipped:
                     rows.append({k: dict(v.items) if isinstance(v, _Struct) else v for k, v in zip(ks, key, strict=True)} | {"digest": d, "n_skipped": x.skipped})
             if rows:
@@ -250,7 +269,6 @@ def digest_agg(scheme: Scheme = Scheme()):
     def run(v: pa.Array) -> dict:
         x = _Intake(scheme)
         x.add(_doubles(v))
-        x.flush()
-        return x.summary.digest(parts=1)
+        return x.digest()
 
     return arrow_udf(run, DIGEST, ArrowUDFType.GROUPED_AGG)
