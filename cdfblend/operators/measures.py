@@ -48,6 +48,13 @@ def rmse_ratio(est: DataFrame, exact: DataFrame, by: Sequence[str]) -> DataFrame
     return a.join(b, list(by)).withColumn("ratio", F.try_divide("rmse_est", "rmse_exact"))
 
 
+def rmse_both(runs: DataFrame, by: Sequence[str]) -> DataFrame:
+    """``rmse_ratio`` of the columns ``estimate`` and ``exact``, in one pass over the runs."""
+    d, x = F.col("estimate") - F.col("truth"), F.col("exact") - F.col("truth")
+    out = runs.groupBy(*by).agg(F.sqrt(F.avg(d * d)).alias("rmse_est"), F.avg(d).alias("bias_est"), F.count("*").alias("runs"), F.sqrt(F.avg(x * x)).alias("rmse_exact"))
+    return out.withColumn("ratio", F.try_divide("rmse_est", "rmse_exact"))
+
+
 def mean_ratio(ratios: DataFrame, by: Sequence[str], low: float = 0.025, high: float = 0.975) -> DataFrame:
     """Mean of the ratio over the levels inside (low, high)."""
     return ratios.where((F.col("level") > low) & (F.col("level") < high)).groupBy(*by).agg(F.avg("ratio").alias("mean_ratio"), F.count("*").alias("levels"))

@@ -147,7 +147,7 @@ query(None, "tab2_hour")(lambda spark, sf: A.within_fraction(series(spark, sf, 1
 query(None, "tab2_day")(lambda spark, sf: A.within_fraction(series(spark, sf, 2, "day"), ["level"]))
 
 # ---- inhomogeneous leaves -----------------------------------------------------------------------------------
-query(None, "inhomog_ratio")(lambda spark, sf: S.inhomogeneous_ratios(S.inhomogeneous_runs(spark, 6, leaves=400, per_leaf=200)))
+query(None, "inhomog_ratio")(lambda spark, sf: S.inhomogeneous_ratios(S.inhomogeneous_runs(spark, 500, leaves=1000, per_leaf=1000)))
 
 
 def inhomog_suppliers(spark, sf, scheme: Scheme = EXACT5) -> DataFrame:

@@ -1,11 +1,14 @@
 """The behaviour that the experiments are known for, at reduced run counts; bands were fixed before any tuning."""
 
+import inspect
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from cdfblend.operators.measures import flush_counts
 from cdfblend.plans import workloads as W
+from cdfblend.registry import QUERIES
 from cdfblend.sources import simulate as S
 
 SF = "/root/testdata/sf0.01"
@@ -64,3 +67,52 @@ def test_inhomogeneous_leaves(spark):
 def test_longer_records_are_more_accurate(spark):
     err = {m: W._record_error(spark, SF, m).first().error for m in (5, 20)}
     assert err[20] < err[5]
+
+
+@pytest.fixture
+def asked(monkeypatch):
+    """Arguments that registered queries give to the simulations, which are not run."""
+    seen = []
+
+    def record(name):
+        bind = inspect.signature(getattr(S, name)).bind
+
+        def instead(*a, **b):
+            x = bind(*a, **b)
+            x.apply_defaults()
+            seen.append(x.arguments)
+
+        monkeypatch.setattr(S, name, instead)
+
+    record("inhomogeneous_runs")
+    for name in ("inhomogeneous_ratios",):
+        monkeypatch.setattr(S, name, lambda runs: runs)
+    return seen
+
+
+def test_registered_inhomogeneous_study_is_whole(asked):
+    QUERIES["inhomog_ratio"](None, SF)
+    (a,) = asked
+    assert (a["runs"], a["leaves"], a["per_leaf"], a["batch"]) == (500, 1000, 1000, 100)
+
+
+def test_leaves_vary_as_much_as_values_within_a_leaf(monkeypatch):
+    """Records of one run: variance of leaf medians against the spread of a leaf, on log10 values."""
+    kept = []
+    monkeypatch.setattr(S, "_rows", lambda spark, runs, work, seed: work)
+    monkeypatch.setattr(S.Summary, "add_digests", lambda self, records: kept.extend(records))
+    monkeypatch.setattr(S.Summary, "digest", lambda self: {"vals": [1.0] * 13})
+    list(S.inhomogeneous_runs(None, 1, leaves=2000, per_leaf=400, record="five", scales=("log",), orders=("random",), outlying=0.0)(0, np.random.default_rng(3)))
+    logs = np.log10([r[4] for r in kept])
+    within = ((logs[:, 3] - logs[:, 1]) / (2 * 0.67449)).mean() ** 2
+    assert within == pytest.approx(0.0924, rel=0.05) and logs[:, 2].var() == pytest.approx(0.0924, rel=0.1)
+
+
+def test_both_errors_in_one_pass(spark):
+    by = ["arm", "dist", "n", "level"]
+    runs = S.inhomogeneous_runs(spark, 3, leaves=100, per_leaf=50, scales=("log",)).cache()
+    one = {tuple(r[c] for c in by): r for r in W.A.rmse_both(runs, by).collect()}
+    two = W.A.rmse_ratio(*[W.A.rmse(runs.withColumnRenamed(c, "value"), by) for c in ("estimate", "exact")], by).collect()
+    assert len(one) == len(two) == 22
+    for r in two:
+        assert one[tuple(r[c] for c in by)].asDict() == pytest.approx(r.asDict())
