@@ -77,23 +77,24 @@ UNIFORM = Scheme(grid="uniform:41", report="round41", batch=41)
 LOGIT = Scheme(grid="round41", report="round41", batch=41, interp="logit")
 
 
-def sim_small(spark, runs: int = 40, sizes=(1000, 10_000)) -> DataFrame:
+def sim_small(spark, runs: int = 1000, sizes=(1000, 10_000)) -> DataFrame:
     return S.leaf_ratios(S.leaf_runs(spark, runs, sizes, {"uniform+linear": UNIFORM, "logit+logit": LOGIT}))
 
 
-query(None, "sim_ratio")(lambda spark, sf: sim_small(spark, 24))
-query(None, "sim_ratio_log")(lambda spark, sf: S.leaf_ratios(S.leaf_runs(spark, 16, (1000,), {"uniform+linear/log": UNIFORM.but(scale="log"), "logit+logit/log": LOGIT.but(scale="log")}, ("lognormal",))))
+query(None, "sim_ratio")(lambda spark, sf: sim_small(spark))
+# of the three distributions, those whose values have a log
+query(None, "sim_ratio_log")(lambda spark, sf: S.leaf_ratios(S.leaf_runs(spark, 1000, (1000, 10_000), {"uniform+linear/log": UNIFORM.but(scale="log"), "logit+logit/log": LOGIT.but(scale="log")}, ("lognormal", "beta92"))))
 
 
-def sim_large(spark, runs: int = 8, sizes=(1000, 10_000, 100_000)) -> DataFrame:
+def sim_large(spark, runs: int = 1000, sizes=(1000, 10_000, 100_000, 1_000_000, 10_000_000)) -> DataFrame:
     s = Scheme(grid="logit:1000:1e-6", report="list:0.0,0.01,0.05,0.1,0.25,0.5,0.75,0.9,0.95,0.99,1.0", batch=1000, interp="logit")
     return S.leaf_ratios(S.leaf_runs(spark, runs, sizes, {"logit1000": s}, ("lognormal",)))
 
 
 query(None, "sim_ratio_mid")(lambda spark, sf: S.ratio_by_size(sim_large(spark)))
 query(None, "sim_growth")(lambda spark, sf: S.ratio_growth(sim_large(spark)))
-query(None, "sim_rmse")(lambda spark, sf: sim_small(spark, 16, (1000,)).select("arm", "dist", "n", "level", "rmse_est", "rmse_exact"))
-query(None, "sim_bias")(lambda spark, sf: sim_small(spark, 16, (1000,)).select("arm", "dist", "n", "level", "bias_est"))
+query(None, "sim_rmse")(lambda spark, sf: sim_small(spark).select("arm", "dist", "n", "level", "rmse_est", "rmse_exact"))
+query(None, "sim_bias")(lambda spark, sf: sim_small(spark).select("arm", "dist", "n", "level", "bias_est"))
 
 # ---- three tiers ------------------------------------------------------------------------------------------
 _hour = lambda: F.date_trunc("hour", "ts").cast("timestamp_ntz")

@@ -85,8 +85,10 @@ def asked(monkeypatch):
         monkeypatch.setattr(S, name, instead)
 
     record("inhomogeneous_runs")
-    for name in ("inhomogeneous_ratios",):
-        monkeypatch.setattr(S, name, lambda runs: runs)
+    record("leaf_runs")
+    chain = type("Chain", (), {"select": lambda self, *c: self})()
+    for name in ("inhomogeneous_ratios", "leaf_ratios", "ratio_by_size", "ratio_growth"):
+        monkeypatch.setattr(S, name, lambda runs: chain)
     return seen
 
 
@@ -116,3 +118,13 @@ def test_both_errors_in_one_pass(spark):
     assert len(one) == len(two) == 22
     for r in two:
         assert one[tuple(r[c] for c in by)].asDict() == pytest.approx(r.asDict())
+
+
+@pytest.mark.parametrize("name", ["sim_ratio", "sim_rmse", "sim_bias", "sim_ratio_log", "sim_ratio_mid", "sim_growth"])
+def test_registered_simulations_are_whole(asked, name):
+    QUERIES[name](None, SF)
+    (a,) = asked
+    large = name in ("sim_ratio_mid", "sim_growth")
+    assert a["runs"] == 1000 and a["sizes"] == tuple(10**k for k in (range(3, 8) if large else (3, 4)))
+    positive = ("lognormal", "beta92")
+    assert set(a["dists"]) == ({"lognormal"} if large else set(positive) if name == "sim_ratio_log" else {"normal", *positive})
