@@ -54,11 +54,15 @@ query(None, "tab1_docs")(lambda spark, sf: pooled(spark, sf, "documents", "n_cha
 query(" UNION ALL ".join(f"SELECT CAST({p} AS DOUBLE) AS level, quantile_disc(value, {p}) AS value FROM events" for p in T6), "tab1_exact")(
     lambda spark, sf: B.exact_quantiles(table(spark, sf, "events"), [], "value", T6)
 )
-_SLICE = "SELECT 0 AS k, row_number() OVER (ORDER BY doc_id) AS rn, ln(1 + n_chars) AS x FROM (SELECT * FROM documents ORDER BY doc_id LIMIT 180) AS z"
-query(O.final(O.unrolled([float(p) for p in L.grid("logit:30:0.0025").levels], 3, 60, _SLICE), 3, "m AS i, round(exp(v) - 1, 6) AS value"), "tab1_slice")(
-    # the limit is the worked slice itself: three flushes that SQL can unroll
-    lambda spark, sf: summarize(table(spark, sf, "documents").orderBy("doc_id").limit(180), [], "n_chars", ["doc_id"], Scheme(grid="logit:30:0.0025", report="logit:30:0.0025", batch=60, scale="log1p")).select(F.posexplode("digest.vals").alias("i", "v")).select("i", F.round("v", 6).alias("value"))
-)
+SMALL_LOGIT = Scheme(grid="logit:30:0.0025", report="logit:30:0.0025", batch=60, scale="log1p")
+
+
+def small_knots(docs: DataFrame) -> DataFrame:
+    """``i, value``: the 30 knots of the pooled stream of text lengths in batches of 60, by id."""
+    return summarize(docs, [], "n_chars", ["doc_id"], SMALL_LOGIT).select(F.posexplode("digest.vals").alias("i", "v")).select("i", F.round("v", 6).alias("value"))
+
+
+query(None, "tab1_slice")(lambda spark, sf: small_knots(table(spark, sf, "documents")))
 
 # ---- the small worked picture: five knots, batches of ten, the third flush ------------------------------------
 _THIRTY = "SELECT * FROM (SELECT user_id AS k, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS rn, value AS x FROM events) AS z WHERE rn <= 30"

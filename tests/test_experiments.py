@@ -2,14 +2,18 @@
 
 import inspect
 
+import duckdb
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from cdfblend import oracles as O
+from cdfblend.functions import levels as L
 from cdfblend.operators.measures import flush_counts
 from cdfblend.plans import workloads as W
 from cdfblend.registry import QUERIES
 from cdfblend.sources import simulate as S
+from cdfblend.sources.tables import table
 
 SF = "/root/testdata/sf0.01"
 
@@ -128,3 +132,20 @@ def test_registered_simulations_are_whole(asked, name):
     assert a["runs"] == 1000 and a["sizes"] == tuple(10**k for k in (range(3, 8) if large else (3, 4)))
     positive = ("lognormal", "beta92")
     assert set(a["dists"]) == ({"lognormal"} if large else set(positive) if name == "sim_ratio_log" else {"normal", *positive})
+
+
+_SLICE = "SELECT 0 AS k, row_number() OVER (ORDER BY doc_id) AS rn, ln(1 + n_chars) AS x FROM (SELECT * FROM documents ORDER BY doc_id LIMIT 180) AS z"
+_ALL = "SELECT 0 AS k, row_number() OVER (ORDER BY doc_id) AS rn, ln(1 + n_chars) AS x FROM documents"
+
+
+@pytest.mark.parametrize(("rows", "flushes", "source"), [(180, 3, _SLICE), (None, 4, _ALL)])
+def test_small_knots_against_unrolled_sql(spark, rows, flushes, source):
+    """The first 180 documents by the SQL that stood beside the query, and all 200 of the smallest table by one flush more."""
+    sf = "/root/testdata/sf0.001"
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{sf}/documents.parquet'")
+    assert 180 < con.execute("SELECT count(*) FROM documents").fetchone()[0] <= 240
+    sql = O.final(O.unrolled([float(p) for p in L.grid("logit:30:0.0025").levels], flushes, 60, source), flushes, "m AS i, round(exp(v) - 1, 6) AS value")
+    docs = table(spark, sf, "documents")
+    got = W.small_knots(docs.orderBy("doc_id").limit(rows)) if rows else QUERIES["tab1_slice"](spark, sf)
+    assert dict(map(tuple, got.collect())) == pytest.approx(dict(con.execute(sql).fetchall()), abs=2e-6)
