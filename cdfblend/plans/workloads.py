@@ -70,6 +70,7 @@ _THIRTY = "SELECT * FROM (SELECT user_id AS k, row_number() OVER (PARTITION BY u
 
 @query(O.final(O.unrolled(FIVE, 3, 10, _THIRTY), 3, f"k AS user_id, {VALUE}"))
 def fig4_three_flushes(spark, sf):
+    """Knots of each user right after the third flush, that is at T = 30; this state is the feature, and later events cannot change it."""
     from pyspark.sql import Window
 
     e = table(spark, sf, "events").withColumn("rn", F.row_number().over(Window.partitionBy("user_id").orderBy("ts", "event_id"))).where("rn <= 30")

@@ -149,3 +149,21 @@ def test_small_knots_against_unrolled_sql(spark, rows, flushes, source):
     docs = table(spark, sf, "documents")
     got = W.small_knots(docs.orderBy("doc_id").limit(rows)) if rows else QUERIES["tab1_slice"](spark, sf)
     assert dict(map(tuple, got.collect())) == pytest.approx(dict(con.execute(sql).fetchall()), abs=2e-6)
+
+
+def test_third_flush_is_a_state_of_the_whole_stream(spark):
+    """Folding all events of each user, and looking at the knots when 30 values are in."""
+    from cdfblend.operators.digest import Scheme
+
+    events = spark.read.parquet("/root/testdata/sf0.001/events.parquet").toPandas().sort_values(["user_id", "ts", "event_id"])
+    got = {}
+    for r in QUERIES["fig4_three_flushes"](spark, "/root/testdata/sf0.001").collect():
+        got.setdefault(r.user_id, {})[r.level] = r.value
+    for user, x in events.groupby("user_id")["value"]:
+        state, values = S.Summary(Scheme(grid="five", report="five", batch=10)), x.to_numpy()
+        for k in range(0, len(values), 10):
+            state.add_raw(values[k : k + 10])
+            if state.n == 30:
+                third = dict(zip(state.report.tolist(), state.digest(1)["vals"], strict=True))
+        assert len(values) > 30 and got.pop(user) == pytest.approx(third, abs=1e-6)
+    assert not got
