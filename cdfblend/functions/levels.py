@@ -62,9 +62,23 @@ def extend_tails(levels: np.ndarray, n: int) -> np.ndarray:
 def train_levels(sample: np.ndarray, m: int) -> np.ndarray:
     """Levels whose quantiles in ``sample`` are evenly spaced in (value + level), which favours curved stretches."""
     x = np.sort(np.asarray(sample, dtype=float))
+    return arc_levels(x, (np.arange(len(x)) + 0.5) / max(len(x), 1), m)
+
+
+def train_levels_counts(low: np.ndarray, high: np.ndarray, counts: np.ndarray, m: int) -> np.ndarray:
+    """As ``train_levels``, from the least value, the greatest value and the count of each range, in order."""
+    up = np.cumsum(np.asarray(counts, dtype=float))
+    n = up[-1] if len(up) else 1.0
+    p = np.stack([(up - counts + 0.5) / n, (up - 0.5) / n], axis=1).ravel()
+    x = np.stack([np.asarray(low, dtype=float), np.asarray(high, dtype=float)], axis=1).ravel()
+    p, first = np.unique(p, return_index=True)
+    return arc_levels(x[first], p, m)
+
+
+def arc_levels(x: np.ndarray, p: np.ndarray, m: int) -> np.ndarray:
+    """0, 1 and m - 2 levels at even steps along the curve through increasing points (x, p), x as a share of its range."""
     if not len(x) or x[0] == x[-1]:
         return uniform_levels(m)
-    p = (np.arange(len(x)) + 0.5) / len(x)
     arc = np.cumsum(np.hypot(np.diff(x, prepend=x[0]) / (x[-1] - x[0]), np.diff(p, prepend=0)))
     inner = np.interp(np.linspace(arc[0], arc[-1], m)[1:-1], arc, p)
     return np.concatenate([[0.0], inner, [1.0]])

@@ -436,11 +436,23 @@ _grid("grid_round41", "round41", "SELECT CAST(row_number() OVER (ORDER BY p) - 1
 _grid("grid_focus", "focus:21:0.9:0.5", "SELECT CAST(row_number() OVER (ORDER BY p) - 1 AS INT) AS i, p FROM (SELECT DISTINCT round(p, 9) AS p FROM (SELECT i / 10.0::DOUBLE AS p FROM range(11) AS t(i) UNION ALL SELECT 0.85 + (i + 1) * 0.1 / 11.0::DOUBLE FROM range(10) AS t(i)) AS y) AS z")
 
 
+def trained_levels(df: DataFrame, value: str, m: int, cells: int = 4096) -> np.ndarray:
+    """Levels learnt from all values: counts and extremes of ``cells`` equal ranges between the exact extremes."""
+    x = df.select(F.col(value).cast("double").alias("x")).where("x is not null and not isnan(x)")
+    ends = x.agg(F.min("x").alias("low"), F.max("x").alias("high")).first()
+    if ends.low is None or ends.low == ends.high:
+        return L.uniform_levels(m)
+    cell = F.least(F.floor((F.col("x") - ends.low) / (ends.high - ends.low) * cells), F.lit(cells - 1))
+    got = x.groupBy(cell.alias("cell")).agg(F.min("x").alias("low"), F.max("x").alias("high"), F.count("*").alias("n")).collect()  # at most one row per cell
+    low, high, n = (np.array(c) for c in zip(*[(r.low, r.high, r.n) for r in sorted(got, key=lambda r: r.cell)], strict=True))
+    return L.train_levels_counts(low, high, n, m)
+
+
 @query()
 def grid_trained(spark, sf):
-    """A grid learnt from a sample of 2,000 values (a bound of the sample), then used."""
-    x = np.array([r.value for r in ev(spark, sf).select("value", F.md5(F.col("event_id").cast("string")).alias("h")).orderBy("h").limit(2000).collect()])
-    return flat(summarize(ev(spark, sf), ["event_type"], "value", ORDER["events"], Scheme(grid=L.list_grid(L.train_levels(x, 41)), batch=100)), ["event_type"])
+    """A grid learnt from the shape of all values, then used."""
+    e = ev(spark, sf)
+    return flat(summarize(e, ["event_type"], "value", ORDER["events"], Scheme(grid=L.list_grid(trained_levels(e, "value", 41)), batch=100)), ["event_type"])
 
 
 query(None, "grid_adaptive")(lambda spark, sf: flat(summarize(ev(spark, sf), ["event_type"], "value", ORDER["events"], Scheme(batch=100, adapt=True)), ["event_type"]))

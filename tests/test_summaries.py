@@ -142,3 +142,17 @@ def test_sql_surface(spark):
     register(spark)
     got = [r.y for r in spark.sql("SELECT logit(p) AS y FROM VALUES (0.5D), (0.0D), (1.0D), (CAST(NULL AS DOUBLE)), (0.75D) AS t(p)").collect()]
     assert got[0] == 0 and got[1:4] == [None, None, None] and got[4] == pytest.approx(np.log(3))
+
+
+def test_trained_grid_learns_from_all_values(spark, monkeypatch):
+    from cdfblend.functions import levels as L
+    from cdfblend.plans import methods as M
+
+    sf, used = "/root/testdata/sf0.01", []
+    monkeypatch.setattr(M, "summarize", lambda df, keys, value, order, scheme: used.append(scheme.tracked()))
+    monkeypatch.setattr(M, "flat", lambda *a: None)
+    M.grid_trained(spark, sf)
+    want = L.train_levels(spark.read.parquet(f"{sf}/events.parquet").toPandas()["value"].to_numpy(), 41)
+    # even steps on the arc; on the steep tail a step is a tiny step of the level, hence log odds
+    odds = lambda p: np.log(p[1:-1] / (1 - p[1:-1]))
+    assert odds(used[0]) == pytest.approx(odds(want), abs=0.05)
