@@ -101,10 +101,18 @@ query("SELECT user_id, CAST(p AS DOUBLE) AS level FROM (SELECT DISTINCT user_id
 query("SELECT band, count(*) AS n FROM events JOIN (VALUES ('p50', 30.0), ('p90', 110.0), ('p99', 230.0)) AS b(band, low) ON value > low GROUP BY band", "join_theta_sla")(
     lambda spark, sf: ev(spark, sf).join(F.broadcast(spark.sql("select * from values ('p50', 30.0D), ('p90', 110.0D), ('p99', 230.0D) as b(band, low)")), F.col("value") > F.col("low")).groupBy("band").agg(F.count("*").alias("n"))
 )
-query("SELECT CAST(floor(value / 25) * 25 AS DOUBLE) AS lo, count(*) AS n FROM events GROUP BY ALL", "join_range")(
-    # cells [lo, lo + 25) meet values by the number of their cell, an equi-join, and the range is then a filter
-    lambda spark, sf: ev(spark, sf).withColumn("cell", F.floor(F.col("value") / 25)).join(spark.range(0, 400).select(F.col("id").alias("cell"), (F.col("id") * 25.0).alias("lo")), "cell").where("value >= lo and value < lo + 25").groupBy("lo").agg(F.count("*").alias("n"))
-)
+@query("SELECT CAST(floor(value / 25) * 25 AS DOUBLE) AS lo, count(*) AS n FROM events GROUP BY ALL")
+def join_range(spark, sf):
+    """Cells [lo, lo + 25) meet values by the number of their cell, an equi-join, and the range is then a filter.
+
+    Cells are all those between the extremes, a table small enough to be sent whole; where they are many, those that hold values.
+    """
+    e = ev(spark, sf).withColumn("cell", F.floor(F.col("value") / 25))
+    a, b = e.agg(F.min("cell"), F.max("cell")).first()
+    cells = spark.range(a, b + 1).select(F.col("id").alias("cell")) if a is not None and b - a < 30_000 else e.select("cell").distinct()
+    return e.join(cells.withColumn("lo", F.col("cell") * 25.0), "cell").where("value >= lo and value < lo + 25").groupBy("lo").agg(F.count("*").alias("n"))
+
+
 query("SELECT e.event_id, (SELECT max_by(p.event_id, (p.ts, p.event_id)) FROM events AS p WHERE p.user_id = e.user_id AND p.event_type = 'purchase' AND (p.ts, p.event_id) < (e.ts, e.event_id)) AS previous FROM events AS e WHERE e.event_type = 'error'".replace("max_by(p.event_id, (p.ts, p.event_id))", "arg_max(p.event_id, row(p.ts, p.event_id))").replace("(p.ts, p.event_id) < (e.ts, e.event_id)", "row(p.ts, p.event_id) < row(e.ts, e.event_id)"), "join_asof")(
     lambda spark, sf: ev(spark, sf).withColumn("previous", F.last(F.when(F.col("event_type") == "purchase", F.col("event_id")), ignorenulls=True).over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1))).where("event_type = 'error'").select("event_id", "previous")
 )

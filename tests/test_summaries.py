@@ -156,3 +156,16 @@ def test_trained_grid_learns_from_all_values(spark, monkeypatch):
     # even steps on the arc; on the steep tail a step is a tiny step of the level, hence log odds
     odds = lambda p: np.log(p[1:-1] / (1 - p[1:-1]))
     assert odds(used[0]) == pytest.approx(odds(want), abs=0.05)
+
+
+@pytest.mark.parametrize("farthest", [123_456.7, 1e12])
+def test_range_join_keeps_values_outside_the_usual(spark, tmp_path, farthest):
+    """Counts of cells, by hand, where values are negative or far out."""
+    from cdfblend.registry import QUERIES
+
+    e = spark.read.parquet(f"{SF}/events.parquet")
+    values = [-30.0, -0.5, 0.0, 24.9, 25.0, 9_999.0, 10_000.0, farthest]
+    far = e.limit(1).drop("value").crossJoin(spark.createDataFrame([(v,) for v in values], "value double")).select(*e.columns)
+    far.write.parquet(f"{tmp_path}/events.parquet")
+    got = {r.lo: r.n for r in QUERIES["join_range"](spark, str(tmp_path)).collect()}
+    assert got == {-50.0: 1, -25.0: 1, 0.0: 2, 25.0: 1, 9_975.0: 1, 10_000.0: 1, farthest // 25 * 25: 1}
