@@ -89,11 +89,12 @@ def passages(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarr
 
 @dataclass
 class AttentionModel:
-    """Gated attention over passages; ``w`` holds all parameters by name."""
+    """Gated attention over passages; ``w`` holds all parameters by name, ``rows`` is the number of texts it was fitted on."""
 
     mean: np.ndarray
     scale: np.ndarray
     w: dict[str, np.ndarray]
+    rows: int = 0
 
     def forward(self, x: np.ndarray, bags: np.ndarray) -> dict[str, np.ndarray]:
         w, at = self.w, np.cumsum(bags) - bags
@@ -131,7 +132,7 @@ def fit(x: np.ndarray, bags: np.ndarray, y: np.ndarray, hidden: int = 16, steps:
     scale = np.maximum(x.std(axis=0), 0.02) if len(x) else np.ones(FEATURES)
     shapes = {"W": (x.shape[1], hidden), "V": (hidden, hidden // 2), "U": (hidden, hidden // 2), "a": (hidden // 2,), "c": (hidden,)}
     w = {k: rng.normal(0, 1 / np.sqrt(s[0]), s) for k, s in shapes.items()} | {"b": np.zeros(hidden), "d": np.zeros(1)}
-    model = AttentionModel(mean, scale, w)
+    model = AttentionModel(mean, scale, w, len(bags))
     if not len(bags):
         w["c"] = np.zeros(hidden)
         return model

@@ -18,11 +18,13 @@ ORACLE_SQL = None
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality classifier accepts (score >= 0.7); without any labels, all of them."""
+    """Documents that the quality classifier accepts (score >= 0.7); where no label can train it, all of them."""
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     if labels.where("quality in (0, 1)").isEmpty():
         return docs
     model = quality.train(docs, labels)
+    if not model.rows:  # all labels are held out, or of other documents
+        return docs
     return quality.score(docs, model, name="_score").where("_score >= 0.7").drop("_score")
 
 

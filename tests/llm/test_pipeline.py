@@ -6,7 +6,7 @@ import pytest
 
 import corpus_pipeline as C
 from cdfblend.llm.byte_bpe import load
-from cdfblend.llm.quality import score, train
+from cdfblend.llm.quality import held_out, score, train
 
 from .test_minhash_dedup import brute
 from .test_mixing import fill
@@ -65,3 +65,13 @@ def test_encoding_stage(kept):
 def test_run(spark, kept):
     got = Counter((r.doc_id, bytes(r.token_ids)) for r in C.run(spark, SF).collect())
     assert got == Counter((r.doc_id, bytes(r.token_ids)) for r in kept[4].collect())
+
+
+@pytest.mark.parametrize("ids", ["held out", "foreign"])
+def test_quality_stage_keeps_all_where_no_label_trains(spark, tmp_path, ids):
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    labels = spark.read.parquet(f"{SF}/labels.parquet")
+    some = labels.where(held_out(labels["doc_id"])) if ids == "held out" else labels.withColumn("doc_id", labels["doc_id"] + 10**9)
+    assert some.where("quality in (0, 1)").count() > 0
+    some.write.parquet(f"{tmp_path}/labels.parquet")
+    assert sorted(r.doc_id for r in C.keep_good(spark, docs, str(tmp_path)).collect()) == sorted(r.doc_id for r in docs.collect())
