@@ -93,6 +93,15 @@ class Summary:
         if len(natural):
             self.low, self.high = min(self.low, float(natural.min())), max(self.high, float(natural.max()))
 
+    def _keep_early(self, natural: np.ndarray) -> None:
+        """First values, for a record of raw values; let go when there are too many for one."""
+        self.early = [*self.early, *natural.tolist()] if self.only_raw and self.n < len(self.report) else []
+
+    @property
+    def held(self) -> int:
+        """Stored values: knots and first values."""
+        return len(self.early) + (0 if self.knots.values is None else len(self.knots.values))
+
     def _flush(self, raw: np.ndarray, digests: list) -> None:
         s = self.scheme
         levels = None
@@ -111,9 +120,7 @@ class Summary:
         self.scale.check(natural)
         self._seen(natural)
         self.n += len(natural)
-        room = len(self.report) - len(self.early)
-        if room > 0:
-            self.early.extend(natural[:room].tolist())
+        self._keep_early(natural)
         self._flush(np.sort(self.scale.forward(natural)), [])
 
     def add_digests(self, records: list[tuple[int, int, bool, str, np.ndarray]]) -> None:
@@ -130,9 +137,7 @@ class Summary:
         self.n += sum(r[0] for r in records)
         self.parts += sum(r[1] for r in records)
         self.only_raw &= not full
-        room = len(self.report) - len(self.early)
-        if room > 0:
-            self.early.extend(raw[:room].tolist())
+        self._keep_early(raw)
         self._flush(np.sort(self.scale.forward(raw)), [(self.scale.forward(r[4]), grid(r[3]).array(), float(r[0])) for r in full])
 
     def digest(self, parts: int | None = None) -> dict | None:

@@ -262,6 +262,32 @@ def _partial(src: DataFrame, ks: list[str], os_: list[str], scheme: Scheme) -> D
     return joined.select(*ks, one.alias("digest"), F.col("_skipped").alias("n_skipped"))
 
 
+def most_held(df: DataFrame, value: str | Column, scheme: Scheme = Scheme()) -> DataFrame:
+    """``values_held``: the most values that a leaf stores at any time (knots, first values, pending batch); a partition is a leaf."""
+    src, _, _ = keyed(df, [], value, [])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        x, most = _Intake(scheme), 0
+        take_in = x._hold
+
+        def look() -> None:
+            nonlocal most
+            most = max(most, sum(map(len, x.pending)) + (x._summary.held if x._summary else 0))
+
+        def hold(values: np.ndarray) -> None:
+            take_in(values)
+            look()
+
+        x._hold = hold
+        for b in batches:
+            x.add(_doubles(b.column(0)))
+        x.digest()
+        look()
+        yield pa.RecordBatch.from_arrays([pa.array([most], pa.int32())], ["values_held"])
+
+    return src.mapInArrow(run, "values_held int").agg(F.max("values_held").alias("values_held"))
+
+
 def digest_agg(scheme: Scheme = Scheme()):
     """A grouped aggregate for ``groupBy().agg()`` and SQL: the digest of a column, in input order."""
     from pyspark.sql.functions import ArrowUDFType, arrow_udf

@@ -17,7 +17,7 @@ from ..operators import extensions as X
 from ..operators import measures as A
 from ..operators import relational as rel
 from ..operators.digest import Scheme
-from ..operators.leaf import digest_agg, summarize
+from ..operators.leaf import digest_agg, most_held, summarize
 from ..operators.rollup import merge, merge_levels
 from ..registry import query
 from ..sources.tables import ORDER, hierarchy, table
@@ -538,7 +538,7 @@ def tab1_se(spark, sf):
     return A.asymptotic_se(ev(spark, sf), "value", T6).withColumn("se", F.round("se", 6))
 
 
-query("SELECT 82 AS values_held", "memory_values")(lambda spark, sf: spark.range(1).select(F.lit(len(L.uniform_levels(41)) + 41).alias("values_held")))
+query("SELECT 82 AS values_held", "memory_values")(lambda spark, sf: most_held(ev(spark, sf), "value", Scheme(grid="uniform:41", batch=41)))
 query("SELECT user_id, count(*) AS n, count(*) // 41 AS full_flushes, count(*) % 41 AS rest FROM events GROUP BY user_id", "flush_count")(lambda spark, sf: A.flush_counts(ev(spark, sf), ["user_id"], "value", 41))
 query("SELECT CAST(sum(n) * 8 AS BIGINT) AS raw_bytes, CAST(sum(least(n, 11) + 1) * 8 AS BIGINT) AS digest_bytes, count(*) AS digests FROM (SELECT count(*) AS n FROM events GROUP BY user_id, event_type) AS z", "bytes_raw_vs_digest")(
     lambda spark, sf: A.bytes_moved(_user_digests(spark, sf, _S41, ("user_id", "event_type")))

@@ -169,3 +169,16 @@ def test_range_join_keeps_values_outside_the_usual(spark, tmp_path, farthest):
     far.write.parquet(f"{tmp_path}/events.parquet")
     got = {r.lo: r.n for r in QUERIES["join_range"](spark, str(tmp_path)).collect()}
     assert got == {-50.0: 1, -25.0: 1, 0.0: 2, 25.0: 1, 9_975.0: 1, 10_000.0: 1, farthest // 25 * 25: 1}
+
+
+def test_values_held_are_measured(spark):
+    from cdfblend.operators.leaf import most_held
+    from cdfblend.registry import QUERIES
+
+    one = lambda n, s: most_held(spark.range(0, n, 1, 1), "id", s).first().values_held
+    s = Scheme(grid="uniform:41", batch=41)
+    # a batch alone; knots and a part of a batch; knots and a batch, which is the bound
+    assert [one(n, s) for n in (7, 41, 60, 82, 5000)] == [7, 41, 60, 82, 82]
+    assert one(5000, s.but(grid="uniform:50", batch=20)) == 70
+    plan = QUERIES["memory_values"](spark, SF)
+    assert plan.first().values_held == 82 and any(f.endswith("events.parquet") for f in plan.inputFiles())
