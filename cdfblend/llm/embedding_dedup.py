@@ -25,6 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
+from .memory import tidy
 from .workspace import Workspace, parallelism
 
 SLICES = (8, 16, 32)
@@ -51,7 +52,7 @@ def _second_moments(vectors: DataFrame) -> dict[int, np.ndarray]:
         for d, m in total.items():
             yield pa.RecordBatch.from_pydict({"dim": pa.array([d] * (d * d), pa.int32()), "at": pa.array(range(d * d), pa.int32()), "v": pa.array(m.ravel())})
 
-    sums = vectors.select("dim", "vec").mapInArrow(fold, "dim int, at int, v double").groupBy("dim", "at").agg(F.sum("v").alias("v")).collect()
+    sums = vectors.select("dim", "vec").mapInArrow(tidy(fold), "dim int, at int, v double").groupBy("dim", "at").agg(F.sum("v").alias("v")).collect()
     out: dict[int, np.ndarray] = {}
     for d in {r.dim for r in sums}:
         m = np.zeros(d * d)
@@ -150,7 +151,7 @@ def link_vectors(df: DataFrame, vec_id: str = "vec_id", embedding: str = "embedd
             yield pa.RecordBatch.from_pydict(cols | {f"c{k}": pa.array(cell[:, k]) for k in range(axes)})
 
     axis = [f"c{k}" for k in range(axes)]
-    home = ws.save(reps.mapInArrow(cells, "rep long, weight long, label string, vec array<double>, dim int, " + ", ".join(f"{c} int" for c in axis)), "cells")
+    home = ws.save(reps.mapInArrow(tidy(cells), "rep long, weight long, label string, vec array<double>, dim int, " + ", ".join(f"{c} int" for c in axis)), "cells")
     sizes = home.groupBy("label", "dim", *axis).agg(F.ceil(F.count("*") / block).cast("int").alias("blocks"))
     sizes = ws.save(sizes, "sizes")
 
@@ -213,7 +214,7 @@ def link_vectors(df: DataFrame, vec_id: str = "vec_id", embedding: str = "embedd
                     start = k
         yield from flush()
 
-    found = ws.save(dealt.mapInArrow(compare, "rep long, links long, low long"), "links")
+    found = ws.save(dealt.mapInArrow(tidy(compare), "rep long, links long, low long"), "links")
     ws.drop(home, sizes)
     groups = connected_components(ws, found, "rep", "low")
     links = found.groupBy("rep").agg(F.sum("links").alias("links"))

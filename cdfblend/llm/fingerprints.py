@@ -26,6 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .hubs import CHUNK, compare_dealt
+from .memory import tidy
 from .workspace import Workspace, parallelism
 
 
@@ -62,7 +63,7 @@ def buckets(df: DataFrame, ws: Workspace) -> DataFrame:
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([xxhash.xxh3_128_digest(canonical(t.as_py() or "")) for t in b.column(1)], pa.binary())], ["id", "mark"])
 
-    marks = ws.save(df.where("id is not null").mapInArrow(run, "id long, mark binary"), "marks")
+    marks = ws.save(df.where("id is not null").mapInArrow(tidy(run), "id long, mark binary"), "marks")
     many = marks.groupBy("mark").agg(F.min("id").alias("hub"), F.max("id").alias("top"), F.count("*").alias("size")).where("hub <> top")
     return marks.join(many, "mark").select("id", "hub", "size").distinct()
 
@@ -130,10 +131,10 @@ def fingerprint(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -> Da
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(_pack([t.as_py().encode() for t in b.column(1)]), pa.binary())], ["id", "packed"])
 
-    texts = docs.mapInArrow(pack, "id long, packed binary").selectExpr("id", "packed", "cast(null as long) as hub", "cast(null as long) as size")
+    texts = docs.mapInArrow(tidy(pack), "id long, packed binary").selectExpr("id", "packed", "cast(null as long) as hub", "cast(null as long) as size")
     stream = texts.unionByName(flags.selectExpr("id", "cast(null as binary) as packed", "hub", "size"))
     dealt = stream.repartitionByRange(parallelism(ws.spark), F.col("id").asc_nulls_first()).sortWithinPartitions(F.col("id").asc_nulls_first(), F.col("packed").asc_nulls_first())
-    rows = ws.save(dealt.select("id", "packed", "hub", "size").mapInArrow(_walk, _ROW), "rows")
+    rows = ws.save(dealt.select("id", "packed", "hub", "size").mapInArrow(tidy(_walk), _ROW), "rows")
 
     # One row a task: its last text and the first text of the task after it, around the end to the start.
     order = Window.orderBy("part")

@@ -23,6 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .html_tree import LEXICON, TAGS, Kinds, Page, read
+from .memory import tidy
 
 PIECE_CHARS = 1 << 20
 STATS = 5
@@ -181,4 +182,4 @@ def extract(df: DataFrame, model: TreeModel | None = None, html: str = "html", t
                 out += page_texts(held, model)
             yield pa.RecordBatch.from_arrays([*b.columns[: len(rest)], pa.array(out, pa.string())], [*rest, text])
 
-    return picked.mapInArrow(run, picked.drop(html).withColumn(text, F.lit("")).schema)
+    return picked.mapInArrow(tidy(run), picked.drop(html).withColumn(text, F.lit("")).schema)

@@ -13,6 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .memory import tidy
 from .workspace import parallelism
 
 CHUNK = 128
@@ -45,4 +46,4 @@ def compare_dealt(rows: DataFrame, prepare: Callable[[pa.Array], Iterator], agre
                     out.append((h, i, bool(agree(base, x))))
             yield pa.RecordBatch.from_pydict({"hub": pa.array([o[0] for o in out], pa.int64()), "member": pa.array([o[1] for o in out], pa.int64()), "same": pa.array([o[2] for o in out], pa.bool_())})
 
-    return dealt.mapInArrow(run, "hub long, member long, same boolean")
+    return dealt.mapInArrow(tidy(run), "hub long, member long, same boolean")

@@ -29,6 +29,7 @@ from pyspark.sql import functions as F
 from . import words
 from .components import connected_components
 from .hubs import agreeing_pairs
+from .memory import tidy
 from .workspace import Workspace, parallelism
 
 _U = np.uint64
@@ -121,7 +122,7 @@ def sketch(df: DataFrame, width: int, bands: int, rows: int) -> DataFrame:
                 [b.column(0), pa.array(n, pa.int64()), pa.array(digest, pa.binary()), pa.ListArray.from_arrays(pa.array(off), pa.array(flat))], ["id", "n", "digest", "bands"]
             )
 
-    return df.mapInArrow(run, "id long, n long, digest binary, bands array<long>")
+    return df.mapInArrow(tidy(run), "id long, n long, digest binary, bands array<long>")
 
 
 def tile_forest(ids: list[int], comps: list[int], sets: list[np.ndarray], bands: np.ndarray, at: int, hub: int, cross: Callable[[slice], np.ndarray], percent: int) -> list[tuple[int, int]]:
@@ -214,7 +215,7 @@ def _open_buckets(ws: Workspace, members: DataFrame, comps: DataFrame, texts: Da
                 held.append((c["side"][k], c["id"][k], c["component"][k], bands[k], s))
         yield from close()
 
-    return dealt.mapInArrow(run, "hub long, member long")
+    return dealt.mapInArrow(tidy(run), "hub long, member long")
 
 
 def near_duplicates(df: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 5, percent: int = 80, bands: int = 32, rows: int = 5, block: int = BLOCK) -> DataFrame:

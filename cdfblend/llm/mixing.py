@@ -18,7 +18,7 @@ from collections.abc import Sequence
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .workspace import Workspace
+from .workspace import Workspace, unused
 
 WORD = "[^\\x20\\x09-\\x0D]+"
 #: Hexadecimal digits of the digest that name a bucket: 4,096 buckets a source.
@@ -74,6 +74,28 @@ def plan(ws: Workspace, sized: DataFrame, weights: Sequence[float], cap: float)
     return ws.save(out.select("source", "source_size", "target", "whole", F.coalesce("cut", F.lit("")).alias("cut")), "plan")
 
 
+def _with_repeats(df: DataFrame, weights: Sequence[float], cap: float, seed: str, doc_id: str, text: str, source: str) -> tuple[DataFrame, list[str]]:
+    """``df`` with ``size, source_size, target, repeats`` under names that no column of ``df`` has, and these names."""
+    if min(weights) <= 0 or cap < 1:
+        raise ValueError("weights must be positive and cap at least 1")
+    ws = Workspace(df.sparkSession, "mixing")
+    sized = ws.save(df.select(F.col(source).alias("source"), word_count(F.col(text)).alias("size"), order_key(F.col(doc_id), seed).alias("digest")), "sized")
+    size, source_size, target, repeats, whole, cut, key = unused(df.columns, "size", "source_size", "target", "repeats", "whole", "cut", "key")
+    p = plan(ws, sized, weights, cap).select(F.col("source").alias(key), F.col("source_size").alias(source_size), F.col("target").alias(target), F.col("whole").alias(whole), F.col("cut").alias(cut))
+    ws.drop(sized)
+    joined = df.join(p, F.col(source).eqNullSafe(F.col(key)), "left")
+    times = (F.col(whole) + (order_key(F.col(doc_id), seed) <= F.col(cut)).cast("long")).alias(repeats)
+    return joined.select(*df.columns, word_count(F.col(text)).alias(size), source_size, target, times), [size, source_size, target, repeats]
+
+
+def repeat_rows(df: DataFrame, weights: Sequence[float] = (5, 2, 1), cap: float = 3.0, seed: str = "mix", doc_id: str = "doc_id", text: str = "text", source: str = "source") -> DataFrame:
+    """The columns of ``df``, whatever their names; every row as often as the mix takes it. Otherwise as ``mix``."""
+    out, (*_, repeats) = _with_repeats(df, weights, cap, seed, doc_id, text, source)
+    (nth,) = unused(out.columns, "nth")
+    taken = out.where(F.col(repeats) > 0).withColumn(nth, F.explode(F.sequence(F.lit(1), F.col(repeats).cast("int"))))
+    return taken.select(*df.columns)
+
+
 def mix(df: DataFrame, weights: Sequence[float] = (5, 2, 1), cap: float = 3.0, seed: str = "mix", doc_id: str = "doc_id", text: str = "text", source: str = "source") -> DataFrame:
     """``df`` with ``size, source_size, target, repeats, taken``: how often the mix takes each row.
 
@@ -81,17 +103,7 @@ def mix(df: DataFrame, weights: Sequence[float] = (5, 2, 1), cap: float = 3.0, s
     the same side of the cut.  An empty table gives an empty table.  Existing columns of these names
     are replaced.  The plan of sources is small; Spark joins it by broadcast while its size allows.
     """
-    if min(weights) <= 0 or cap < 1:
-        raise ValueError("weights must be positive and cap at least 1")
-    ws = Workspace(df.sparkSession, "mixing")
-    base = df.drop("size", "source_size", "target", "repeats", "taken")
-    sized = ws.save(base.select(F.col(source).alias("source"), word_count(F.col(text)).alias("size"), order_key(F.col(doc_id), seed).alias("digest")), "sized")
-    p = plan(ws, sized, weights, cap).select(F.col("source").alias("_s"), "source_size", "target", F.col("whole").alias("_whole"), F.col("cut").alias("_cut"))
-    ws.drop(sized)
-    out = base.join(p, base[source].eqNullSafe(p["_s"]), "left")
-    repeats = (F.col("_whole") + (order_key(F.col(doc_id), seed) <= F.col("_cut")).cast("long")).alias("repeats")
-    kept = [base[c] for c in base.columns]
-    out = out.select(*kept, word_count(F.col(text)).alias("size"), "source_size", "target", repeats)
+    out, _ = _with_repeats(df.drop("size", "source_size", "target", "repeats", "taken"), weights, cap, seed, doc_id, text, source)
     return out.withColumn("taken", F.col("size") * F.col("repeats"))
 
 

@@ -4,9 +4,10 @@ A document is a bag of passages of 64 words.  Every passage of the whole text is
 word shapes, repetition inside the passage and in its document) and mapped to a hidden vector; gated attention
 gives each passage a weight, and the score reads the weighted sum.  Only document labels are used.
 
-Fitting uses at most ``train_docs`` labelled rows, chosen by a digest of the id (a documented parameter;
-their passages are collected to the driver).  Scoring is one pass of Arrow batches without a
-shuffle, over whole texts, in pieces of bounded size.
+Fitting uses at most ``train_docs`` labelled rows, chosen by a digest of the id, and of each at most
+``train_passages`` passages at even steps (documented parameters; the passages, at most 100 MB of them, are
+collected to the driver; what a passage says of its document is still taken from the whole text).  Scoring is
+one pass of Arrow batches without a shuffle, over every passage of whole texts, in pieces of bounded size.
 """
 
 from __future__ import annotations
@@ -20,6 +21,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import words
+from .memory import row_ranges, tidy
 
 PASSAGE_WORDS = 64
 _PUNCT = b"!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
@@ -160,8 +162,11 @@ def _in_pieces(col: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         yield passages(raw[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i])
 
 
-def train(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str = "text", label: str = "quality", train_docs: int = 4000) -> AttentionModel:
-    """Fit on at most ``train_docs`` labelled rows that are not held out; null labels and ids are left out."""
+def train(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str = "text", label: str = "quality", train_docs: int = 4000, train_passages: int = 128) -> AttentionModel:
+    """Fit on at most ``train_docs`` labelled rows that are not held out; null labels and ids are left out.
+
+    An id with several labels has the greater one; rows that repeat an id all count; without rows the model scores 0.5.
+    """
     good = labels.select(F.col(doc_id).cast("long").alias("id"), F.col(label).cast("int").alias("y")).where("id is not null and y in (0, 1)").where(~held_out(F.col("id")))
     chosen = good.groupBy("id").agg(F.max("y").alias("y")).orderBy(F.md5(F.col("id").cast("string")), "id").limit(train_docs)
     rows = docs.select(F.col(doc_id).cast("long").alias("id"), F.col(text).alias("text")).join(F.broadcast(chosen), "id")
@@ -172,32 +177,42 @@ def train(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str
             out, k = [], 0
             for x, n in xs:
                 for q in np.split(x, np.cumsum(n)[:-1]):
-                    out.append(q.tobytes())
+                    some = np.unique(np.linspace(0, len(q) - 1, min(len(q), train_passages)).astype(np.int64))
+                    out.append(q[some].tobytes())
                 k += len(n)
             yield pa.RecordBatch.from_arrays([b.column("id"), b.column("y"), pa.array(out, pa.binary())], ["id", "y", "x"])
 
-    got = sorted(rows.select("id", "y", "text").mapInArrow(run, "id long, y int, x binary").collect(), key=lambda r: (r.id, r.x))
+    got = sorted(rows.select("id", "y", "text").mapInArrow(tidy(run), "id long, y int, x binary").collect(), key=lambda r: (r.id, r.x))
     xs = [np.frombuffer(bytes(r.x), np.float32).reshape(-1, FEATURES) for r in got]
     x = np.concatenate(xs).astype(np.float64) if xs else np.zeros((0, FEATURES))
     return fit(x, np.array([len(q) for q in xs], np.int64), np.array([r.y for r in got], float))
 
 
 def score(df: DataFrame, model: AttentionModel, text: str = "text", name: str = "score") -> DataFrame:
-    """``df`` with the score of each whole text; null texts count as empty; a column of that name is replaced."""
+    """``df`` with the score of each whole text.
+
+    Null and empty texts count as one empty passage, repeated rows are repeated, an empty table gives an empty table,
+    a column named like ``name`` is replaced.
+    """
     base = df.drop(name)
     where = base.columns.index(text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            parts = [model.score(x, n) for x, n in _in_pieces(b.column(where))]
-            s = np.concatenate(parts) if parts else np.zeros(0)
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(s, pa.float64())], [*b.schema.names, name])
+            for i, j in row_ranges(b.column(where), words.PIECE_BYTES):
+                rows = b.slice(i, j - i)
+                s = np.concatenate([model.score(x, n) for x, n in _in_pieces(rows.column(where))])
+                yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(s, pa.float64())], [*rows.schema.names, name])
 
-    return base.mapInArrow(run, base.withColumn(name, F.lit(0.0).cast("double")).schema)
+    return base.mapInArrow(tidy(run), base.withColumn(name, F.lit(0.0).cast("double")).schema)
 
 
 def classify(docs: DataFrame, labels: DataFrame, threshold: float = 0.7, train_docs: int = 4000, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """``(doc_id, held_out, score, predicted)`` for every row of ``docs``. Labels, language, source and id never enter a score."""
+    """``(doc_id, held_out, score, predicted)`` for every row of ``docs``; labels, language, source and id never enter a score.
+
+    Null texts count as empty, a null id is not held out, repeated rows are repeated, other columns are ignored, an empty
+    table gives an empty table; labels that fit no row leave every score at 0.5.
+    """
     model = train(docs, labels, doc_id, text, train_docs=train_docs)
     got = score(docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")), model)
     return got.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))

@@ -24,6 +24,7 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .memory import tidy
 from .workspace import Workspace
 
 PIECE_CHARS = 1 << 20
@@ -128,7 +129,7 @@ def encode_counts(misses: DataFrame, path: str) -> DataFrame:
                 out += count(held)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.int64())], ["key", "n_tokens"])
 
-    return misses.mapInArrow(run, "key binary, n_tokens long")
+    return misses.mapInArrow(tidy(run), "key binary, n_tokens long")
 
 
 def count_tokens(df: DataFrame, path: str, cache: str | None = None, limit: int = 2048, doc_id: str = "doc_id", text: str = "text") -> DataFrame:

@@ -2,7 +2,7 @@
 
 Lineage is cut by writing Parquet there and reading it back, so a lost executor costs a re-read and
 never a recomputation of an iterative plan.  The folder is ``spark.checkpoint.dir``; only where that
-is unset (tests, local mode) a temporary folder of this process is used.
+is unset a temporary folder of this process is used, and only in local mode: elsewhere executors could not read it.
 """
 
 from __future__ import annotations
@@ -10,6 +10,7 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+from collections.abc import Iterable
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -20,6 +21,8 @@ def shared_dir(spark: SparkSession) -> str:
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
     if not _fallback:
         _fallback.append(tempfile.mkdtemp(prefix="cdfblend-"))
     return f"file://{_fallback[0]}"
@@ -64,5 +67,17 @@ def _delete(spark: SparkSession, path: str) -> None:
     p.getFileSystem(conf).delete(p, True)
 
 
+def unused(taken: Iterable[str], *names: str) -> list[str]:
+    """The names, each with as many underscores appended as keep it apart (in any case) from the names in use."""
+    used = {c.lower() for c in taken}
+    out = []
+    for name in names:
+        while name.lower() in used:
+            name += "_"
+        used.add(name.lower())
+        out.append(name)
+    return out
+
+
 def parallelism(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))

@@ -1,9 +1,11 @@
 import random
 import re
+from collections import Counter
 
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from cdfblend.llm.mixing import mix
+from cdfblend.llm.mixing import mix, repeat_rows
 
 SCHEMA = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("text", T.StringType()), T.StructField("source", T.StringType()), T.StructField("size", T.StringType()), T.StructField("level", T.StringType())])
 
@@ -49,6 +51,18 @@ def test_targets_and_quotas(spark):
         assert again == {i: r.taken for i, r in got.items()}
 
 
+def test_own_columns_stay(spark):
+    names = ["doc_id", "text", "source", "_whole", "_cut", "_s", "whole", "cut", "key", "size_", "Repeats_"]
+    df = spark.createDataFrame([(i, "w " * (i % 7), "ab"[i % 2], *[f"{c}!" for c in names[3:]]) for i in range(50)], names)
+    out = mix(df)
+    assert out.columns == [*names, "size", "source_size", "target", "repeats", "taken"]
+    assert all(r[c] == f"{c}!" for r in out.collect() for c in names[3:])
+    rows = repeat_rows(df.withColumn("size", F.lit("own")).withColumn("REPEATS", F.lit("own"))).collect()
+    times = {r.doc_id: r.repeats for r in out.collect()}
+    assert all(r["size"] == r["REPEATS"] == "own" for r in rows)
+    assert Counter(r.doc_id for r in rows) == Counter({i: n for i, n in times.items() if n})
+
+
 def test_empty_and_wordless(spark):
     assert mix(spark.createDataFrame([], SCHEMA)).count() == 0
     rows = mix(spark.createDataFrame([(1, None, None, "", ""), (1, " ", "a", "", "")], SCHEMA)).collect()

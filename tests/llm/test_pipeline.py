@@ -1,8 +1,12 @@
+import base64
 import re
 from collections import Counter
 
+import numpy as np
 import public_tokenizers as P
 import pytest
+import tiktoken
+from pyspark.sql import functions as F
 
 import corpus_pipeline as C
 from cdfblend.llm.byte_bpe import load
@@ -55,11 +59,16 @@ def test_mixing_stage(kept):
 
 
 def test_encoding_stage(kept):
-    bpe = load(P.path("byte_bpe_50k.tiktoken"), P.PATTERN)
+    path = P.path("byte_bpe_50k.tiktoken")
+    bpe = load(path, P.PATTERN)
+    ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, open(path, "rb"))}
+    ref = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=ranks, special_tokens={})
     texts = {r.doc_id: r.text for r in kept[3].collect()}
     rows = kept[4].collect()
     assert len(rows) == kept[3].count()
-    assert all(bpe.decode(bytes(r.token_ids)).decode() == texts[r.doc_id] and r.n_tokens == len(r.token_ids) // 4 for r in rows)
+    for r in rows:
+        ids = np.frombuffer(r.token_ids, "<i4")
+        assert ids.tolist() == ref.encode_ordinary(texts[r.doc_id]) and bpe.decode(ids).decode() == texts[r.doc_id] and r.n_tokens == len(ids)
 
 
 def test_run(spark, kept):
@@ -75,3 +84,35 @@ def test_quality_stage_keeps_all_where_no_label_trains(spark, tmp_path, ids):
     assert some.where("quality in (0, 1)").count() > 0
     some.write.parquet(f"{tmp_path}/labels.parquet")
     assert sorted(r.doc_id for r in C.keep_good(spark, docs, str(tmp_path)).collect()) == sorted(r.doc_id for r in docs.collect())
+
+
+CLASH = ["score", "gone", "size", "target", "taken", "whole", "cut", "key", "nth", "component_id", "id"]
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    """Documents with nulls in any column, empty, wordless and very long texts, repeated rows and clashing columns."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet").where("doc_id < 60")
+    schema = docs.schema
+    text, long = docs.orderBy("doc_id").first().text, " ".join(f"w{i}" for i in range(60_000))
+    more = [(None, text, None, None, None), (9001, None, None, "a", 0), (9002, "", "en", None, 0), (9003, " \n ", "en", "a", 3), (9004, "one", "en", "a", 3), (9005, long, "en", "a", 9), (9005, long, "en", "a", 9), (9006, text, "en", "a", 9), (9007, text, "en", None, 9)]
+    out = docs.unionByName(spark.createDataFrame(more, schema))
+    return out.select("*", *[F.lit(f"own {c}").alias(c) for c in CLASH])
+
+
+@pytest.mark.parametrize("name", [n for n, _ in C.STAGES])
+def test_stage_on_odd_rows(spark, odd, name):
+    stage = dict(C.STAGES)[name]
+    rows = stage(spark, odd, SF).collect()
+    before = Counter((r.doc_id, r.text) for r in odd.collect())
+    if name == "byte_bpe":
+        assert len(rows) == sum(before.values()) and {r.n_tokens for r in rows if r.doc_id in (9001, 9002)} == {0}
+    else:
+        assert all(r[c] == f"own {c}" for r in rows for c in CLASH)
+        after = Counter((r.doc_id, r.text) for r in rows)
+        assert set(after) <= set(before)
+        if name == "near_dedup":
+            assert sum(n for (i, _), n in after.items() if i == 9005) == 2 and after[(9001, None)] == after[(9002, "")] == 1
+            assert not any(i in (9006, 9007) for i, _ in after) and sum(i is None for i, _ in after) == 1
+    empty = stage(spark, odd.limit(0), SF)
+    assert empty.count() == 0 and (name == "byte_bpe" or empty.columns == odd.columns)
