@@ -5,8 +5,9 @@
    its eigenvectors, a broadcast constant of dim^2 doubles, rotate vectors so that the leading
    coordinates carry most of the product.
 3. Vectors whose cosine is >= t differ by at most sqrt(2 - 2t) in every rotated coordinate, so a grid of
-   that width over the leading axes confines links to neighbouring cells.  Cells are cut into blocks of
-   bounded size; a tile is a pair of blocks.
+   that width over the leading axes confines links to neighbouring cells.  As many axes cut (up to ``MOST_AXES``) as
+   bring the largest cell down to ``CELL_BLOCKS`` blocks.  Neighbours are found in the table of cells; only
+   then do vectors travel, under numbers of cells and blocks.  A tile is a pair of blocks of bounded size.
 4. Inside a tile products accumulate in slices of dimensions; after each slice a pair stays only while
    its partial product plus the product of both suffix norms can still reach t.
 5. Survivors are confirmed by the cosine of the original values in double precision.  A tile gives per
@@ -29,17 +30,28 @@ from .memory import tidy
 from .workspace import Workspace, parallelism
 
 SLICES = (8, 16, 32)
+MOST_AXES = 4
+CELL_BLOCKS = 4
+#: Distinct vector lengths that one table may hold: each costs the driver and every worker dim^2 doubles.
+MOST_LENGTHS = 16
 _EPS = 1e-9
 
 
 def _matrix(col: pa.Array) -> np.ndarray:
     col = col.combine_chunks() if isinstance(col, pa.ChunkedArray) else col
     flat = np.asarray(col.flatten().to_numpy(zero_copy_only=False), dtype=np.float64)
-    return flat.reshape(len(col), -1) if len(col) else flat.reshape(0, 0)
+    if not len(col):
+        return flat.reshape(0, 0)
+    x = flat.reshape(len(col), -1)
+    # By a power of two, so that norms neither overflow nor vanish and the cosine keeps every bit.
+    return np.ldexp(x, -np.frexp(np.abs(x).max(axis=1, keepdims=True))[1])
 
 
 def _second_moments(vectors: DataFrame) -> dict[int, np.ndarray]:
-    """dim -> eigenvectors by descending eigenvalue."""
+    """dim -> eigenvectors by descending eigenvalue.  The driver gets dim^2 sums for each of at most ``MOST_LENGTHS`` lengths."""
+    lengths = vectors.select("dim").distinct().limit(MOST_LENGTHS + 1).count()
+    if lengths > MOST_LENGTHS:
+        raise ValueError(f"more than {MOST_LENGTHS} different vector lengths in one table")
 
     def fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: dict[int, np.ndarray] = {}
@@ -114,13 +126,23 @@ def _smallest_reach(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
     return low
 
 
-def link_vectors(df: DataFrame, vec_id: str = "vec_id", embedding: str = "embedding", label: str = "label", threshold: float = 0.98, axes: int = 2, block: int = 1024) -> DataFrame:
+def _axes_needed(finest: DataFrame, axis: list[str], block: int) -> int:
+    """The least number of axes whose largest cell has at most ``CELL_BLOCKS`` blocks; one small row comes to the driver."""
+    for k in range(1, len(axis)):
+        top = finest.groupBy("label", "dim", *axis[:k]).agg(F.sum("n").alias("n")).agg(F.max("n")).first()[0] or 0
+        if top <= CELL_BLOCKS * block:
+            return k
+    return len(axis)
+
+
+def link_vectors(df: DataFrame, vec_id: str = "vec_id", embedding: str = "embedding", label: str = "label", threshold: float = 0.98, axes: int | None = None, block: int = 1024) -> DataFrame:
     """``(vec_id, n_links, component_id, kept)`` for every row of ``df``.
 
     Vectors link when their labels are equal and not null and their cosine is >= ``threshold``.  Null,
     empty, zero or non-finite vectors link with nothing, nor do vectors of different lengths.  A null
     id gives a row of its own with null component.  Repeated ids are repeated rows; each row counts as a
-    vector.  Other columns are ignored, so clashing names do no harm.
+    vector.  Other columns are ignored, so clashing names do no harm.  An empty table gives an empty table.
+    ``axes`` fixes the number of axes that cut; by default the data decide.
     """
     if not 0 < threshold <= 1:
         raise ValueError("threshold must be in (0, 1]")
@@ -137,46 +159,48 @@ def link_vectors(df: DataFrame, vec_id: str = "vec_id", embedding: str = "embedd
     width = float(np.sqrt(2 - 2 * threshold)) * (1 + 1e-9) + 1e-9
     shared = spark.sparkContext.broadcast(turns)
 
+    most = axes or MOST_AXES
+
     def cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             dims = np.asarray(b.column("dim"))
-            cell = np.zeros((b.num_rows, axes), dtype=np.int32)
+            cell = np.zeros((b.num_rows, most), dtype=np.int32)
             for d in np.unique(dims):
                 at = np.flatnonzero(dims == d)
                 x = _matrix(b.column("vec").take(pa.array(at)))
                 x = x / np.linalg.norm(x, axis=1, keepdims=True)
-                k = min(axes, int(d))
+                k = min(most, int(d))
                 cell[at, :k] = np.floor(x @ shared.value[int(d)][:, :k] / width)
             cols = {c: b.column(c) for c in ("rep", "weight", "label", "vec", "dim")}
-            yield pa.RecordBatch.from_pydict(cols | {f"c{k}": pa.array(cell[:, k]) for k in range(axes)})
+            yield pa.RecordBatch.from_pydict(cols | {f"c{k}": pa.array(cell[:, k]) for k in range(most)})
 
-    axis = [f"c{k}" for k in range(axes)]
+    axis = [f"c{k}" for k in range(most)]
     home = ws.save(reps.mapInArrow(tidy(cells), "rep long, weight long, label string, vec array<double>, dim int, " + ", ".join(f"{c} int" for c in axis)), "cells")
-    sizes = home.groupBy("label", "dim", *axis).agg(F.ceil(F.count("*") / block).cast("int").alias("blocks"))
-    sizes = ws.save(sizes, "sizes")
-
-    # A vector joins, as left member, the tiles of its own cell and of the neighbours ahead of it, and
-    # as right member those of the neighbours behind it.
-    ahead = [s for s in product((-1, 0, 1), repeat=axes) if s > (0,) * axes]
-    shifts = [(0, (0,) * axes)] + [(1, s) for s in ahead] + [(2, tuple(-k for k in s)) for s in ahead]
-    moves = F.array(*[F.struct(F.lit(side).alias("side"), *[F.lit(s[k]).alias(f"s{k}") for k in range(axes)]) for side, s in shifts])
-    own = sizes.withColumnRenamed("blocks", "mine")
-    placed = home.join(own, ["label", "dim", *axis]).withColumn("b", F.pmod(F.xxhash64("rep"), F.col("mine")).cast("int"))
-    near = placed.withColumn("move", F.explode(moves)).select("*", F.col("move.side").alias("side"), *[(F.col(f"c{k}") + F.col(f"move.s{k}")).alias(f"n{k}") for k in range(axes)])
-    other = sizes.select("label", "dim", *[F.col(f"c{k}").alias(f"n{k}") for k in range(axes)], F.col("blocks").alias("theirs"))
-    near = near.join(other, ["label", "dim", *[f"n{k}" for k in range(axes)]])
-    near = near.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("theirs") - 1)))
-    me, you = [F.col(f"c{k}") for k in range(axes)], [F.col(f"n{k}") for k in range(axes)]
-    low = F.when(F.col("side") == 0, F.least("b", "o")).when(F.col("side") == 1, F.col("b")).otherwise(F.col("o"))
-    high = F.when(F.col("side") == 0, F.greatest("b", "o")).when(F.col("side") == 1, F.col("o")).otherwise(F.col("b"))
-    tile = F.struct(
-        F.col("label"), F.col("dim"),
-        *[F.when(F.col("side") == 2, you[k]).otherwise(me[k]).alias(f"p{k}") for k in range(axes)], low.alias("bp"),
-        *[F.when(F.col("side") == 2, me[k]).otherwise(you[k]).alias(f"q{k}") for k in range(axes)], high.alias("bq"),
+    finest = ws.save(home.groupBy("label", "dim", *axis).agg(F.count("*").alias("n")), "finest")
+    axis = axis[: axes or _axes_needed(finest, axis, block)]
+    counts = finest.groupBy("label", "dim", *axis).agg(F.sum("n").alias("n"))
+    sizes = ws.save(counts.select("*", F.monotonically_increasing_id().alias("cell"), F.ceil(F.col("n") / block).cast("int").alias("blocks")), "sizes")
+
+    # Each unordered pair of neighbouring cells once: the cell itself, or one that lies ahead of it.
+    ahead = [s for s in product((-1, 0, 1), repeat=len(axis)) if s >= (0,) * len(axis)]
+    moves = F.array(*[F.struct(*[F.lit(k).alias(c) for c, k in zip(axis, s, strict=True)]) for s in ahead])
+    near = sizes.withColumn("move", F.explode(moves)).select("label", "dim", *[(F.col(c) + F.col(f"move.{c}")).alias(c) for c in axis], F.col("cell").alias("p"), F.col("blocks").alias("p_blocks"))
+    pairs = near.join(sizes.select("label", "dim", *axis, F.col("cell").alias("q"), F.col("blocks").alias("q_blocks")), ["label", "dim", *axis])
+    pairs = ws.save(pairs.select("p", "p_blocks", "q", "q_blocks"), "pairs")
+    # A block meets every block of the other cell; within a cell the smaller block number stands left.
+    sides = pairs.select(F.col("p").alias("cell"), F.lit(True).alias("left"), "p", "q", "p_blocks", "q_blocks").unionAll(
+        pairs.where("p <> q").select(F.col("q").alias("cell"), F.lit(False).alias("left"), "p", "q", "p_blocks", "q_blocks")
     )
-    role = F.when((F.col("side") == 0) & (F.col("b") == F.col("o")), 0).when(F.col("side") == 0, F.when(F.col("b") < F.col("o"), 1).otherwise(2)).otherwise(F.col("side"))
-    tiles = near.select(F.to_json(tile).alias("tile"), role.alias("role"), "rep", "weight", "dim", "vec")
-    dealt = tiles.repartition(parallelism(spark), "tile").sortWithinPartitions("tile")
+    placed = home.join(sizes.select("label", "dim", *axis, "cell", "blocks"), ["label", "dim", *axis])
+    placed = placed.select("cell", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int").alias("b"), "rep", "weight", "dim", "vec")
+    met = placed.join(sides, "cell").withColumn("o", F.explode(F.sequence(F.lit(0), F.when(F.col("left"), F.col("q_blocks")).otherwise(F.col("p_blocks")) - 1)))
+    alone = F.col("p") == F.col("q")
+    low = F.when(alone, F.least("b", "o")).when(F.col("left"), F.col("b")).otherwise(F.col("o"))
+    high = F.when(alone, F.greatest("b", "o")).when(F.col("left"), F.col("o")).otherwise(F.col("b"))
+    role = F.when(alone & (F.col("b") == F.col("o")), 0).when(alone, F.when(F.col("b") < F.col("o"), 1).otherwise(2)).otherwise(F.when(F.col("left"), 1).otherwise(2))
+    tile = ["p", "q", "bp", "bq"]
+    tiles = met.select("p", "q", low.alias("bp"), high.alias("bq"), role.alias("role"), "rep", "weight", "dim", "vec")
+    dealt = tiles.repartition(parallelism(spark), *tile).sortWithinPartitions(*tile)
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
@@ -203,19 +227,18 @@ def link_vectors(df: DataFrame, vec_id: str = "vec_id", embedding: str = "embedd
                 held.clear()
 
         for b in batches:
-            names = b.column("tile").to_pylist()
-            start = 0
-            for k in range(1, len(names) + 1):
-                if k == len(names) or names[k] != names[start]:
-                    if names[start] != key:
+            names = np.stack([np.asarray(b.column(c)) for c in tile], axis=1)
+            cuts = [0, *(np.flatnonzero((names[1:] != names[:-1]).any(axis=1)) + 1).tolist(), len(names)]
+            for lo, hi in zip(cuts, cuts[1:], strict=False):
+                if hi > lo:
+                    if tuple(names[lo]) != key:
                         yield from flush()
-                        key = names[start]
-                    held.append(b.slice(start, k - start))
-                    start = k
+                        key = tuple(names[lo])
+                    held.append(b.slice(lo, hi - lo))
         yield from flush()
 
     found = ws.save(dealt.mapInArrow(tidy(compare), "rep long, links long, low long"), "links")
-    ws.drop(home, sizes)
+    ws.drop(home, sizes, finest, pairs)
     groups = connected_components(ws, found, "rep", "low")
     links = found.groupBy("rep").agg(F.sum("links").alias("links"))
     known = reps.select(F.col("label").alias("k_label"), F.col("vec").alias("k_vec"), F.col("rep"), "weight")
@@ -230,3 +253,16 @@ def link_vectors(df: DataFrame, vec_id: str = "vec_id", embedding: str = "embedd
         component.alias("component_id"),
         F.coalesce(F.col("id") == component, F.lit(False)).alias("kept"),
     )
+
+
+#: All pairs of a label and the closure of their links; quadratic, for small tables.
+ORACLE = """
+WITH RECURSIVE v AS (SELECT vec_id, label, CAST(embedding AS DOUBLE[]) AS e FROM embeddings WHERE label IS NOT NULL AND vec_id IS NOT NULL AND len(embedding) > 0
+  AND len(list_filter(embedding, lambda x: x IS NULL OR isnan(x) OR isinf(x))) = 0 AND len(list_filter(embedding, lambda x: x <> 0)) > 0),
+l AS (SELECT a.vec_id AS a, b.vec_id AS b FROM v AS a JOIN v AS b ON a.label = b.label AND a.vec_id <> b.vec_id AND len(a.e) = len(b.e) WHERE list_cosine_similarity(a.e, b.e) >= 0.98),
+r(id, c) AS (SELECT DISTINCT a, a FROM l UNION SELECT r.id, l.b FROM r JOIN l ON l.a = r.c),
+s AS (SELECT id, min(c) AS c FROM r GROUP BY id),
+n AS (SELECT a AS id, count(*) AS n FROM l GROUP BY a)
+SELECT vec_id, CAST(coalesce(n.n, 0) AS BIGINT) AS n_links, CAST(coalesce(s.c, vec_id) AS BIGINT) AS component_id, vec_id = coalesce(s.c, vec_id) AS kept
+FROM embeddings LEFT JOIN n ON n.id = vec_id LEFT JOIN s ON s.id = vec_id
+"""

@@ -111,9 +111,9 @@ def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _register_sql() -> None:
-    from . import chat, mixing
+    from . import chat, embedding_dedup, mixing
 
-    ORACLES.update({"op8_chat_format": chat.ORACLE, "op9_source_mixing": mixing.ORACLE})
+    ORACLES.update({"op1_embedding_dedup": embedding_dedup.ORACLE, "op8_chat_format": chat.ORACLE, "op9_source_mixing": mixing.ORACLE})
 
 
 _register_sql()
