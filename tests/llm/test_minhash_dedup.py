@@ -6,6 +6,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import types as T
 
+from cdfblend.llm import minhash_dedup as M
 from cdfblend.llm import words
 from cdfblend.llm.minhash_dedup import near_duplicates, one_permutation
 
@@ -77,6 +78,59 @@ def test_matches_brute_force(spark, width, block):
     assert all(r.kept == (r.doc_id == r.component_id) for r in got if r.doc_id is not None) and len(got) == len(rows) + 1
 
 
+def test_no_pair_at_the_threshold_is_missed():
+    # 2,400 pairs at similarity 0.8 exactly: all share a band, and the tile's sketch excludes none
+    oph, fine, seed = one_permutation(160), one_permutation(M.TILE_BINS), 0
+    for m in (1, 2, 3, 5, 8, 12, 20, 30, 45, 60, 75, 90):
+        for _ in range(200):
+            seed += 1
+            pool = words.stream(5 * m, 1000 + seed)
+            cut = 4 * m + m // 2
+            a, b = np.sort(pool[:cut]), np.sort(np.concatenate([pool[: 4 * m], pool[cut:]]))
+            assert (oph.of(a).reshape(32, 5) == oph.of(b).reshape(32, 5)).all(axis=1).any()
+            sketches = np.stack([fine.of(x).astype(np.uint8) for x in (a, b)])
+            tile = M.Tile([1, 2], [1, 2], np.array([len(a), len(b)]), sketches, np.zeros((2, 32), np.int64), 0, 0, lambda r: np.triu(np.ones((2, 2), bool), 1)[r], 80)
+            assert len(tile.candidates()[0]) == 1 and tile.forest([a, b]) == [(1, 2)]
+
+
+def test_hot_bucket_of_many_components(spark):
+    # one passage shared by all puts many unlike documents into the same buckets; pairs of near copies hide among them
+    rng = np.random.default_rng(3)
+    shared = [f"s{k}" for k in range(60)]
+    rows = []
+    for i in range(90):
+        own = [f"d{i}x{k}" for k in range(45)]
+        rows.append((2 * i, " ".join(shared + own)))
+        if i % 3 == 0:
+            own[int(rng.integers(0, 45))] = "other"
+            rows.append((2 * i + 1, " ".join(shared + own)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    for block in (M.BLOCK, 9):
+        got = near_duplicates(df, width=4, block=block).collect()
+        assert {(r.doc_id, r.n_shingles, r.component_id) for r in got} == brute(rows, 4, 80)
+
+
+def test_repeated_ids_and_very_long_text(spark):
+    long = " ".join(f"w{i}" for i in range(150_000))
+    rows = [(1, "a b c d e f"), (1, "a b c d e f"), (1, "p q r s t u"), (2, "p q r s t u"), (3, long), (4, long + " end"), (5, "p q r s t u v w x y")]
+    got = sorted((r.doc_id, r.n_shingles, r.component_id) for r in near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), width=4).collect())
+    assert got == [(1, 3, 1), (1, 3, 1), (1, 3, 1), (2, 3, 1), (3, 149_997, 3), (4, 149_998, 3), (5, 7, 5)]
+
+
+def test_sql_agrees(spark, tmp_path):
+    import duckdb
+
+    from cdfblend.llm.queries import ORACLES, QUERIES
+
+    rows = corpus(150, 4)
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    got = [tuple(r) for r in QUERIES["op2_minhash_dedup"](spark, str(tmp_path)).select("doc_id", "n_shingles", "component_id", "kept").collect()]
+    want = con.execute(f"SELECT doc_id, n_shingles, component_id, kept FROM ({ORACLES['op2_minhash_dedup']}) AS z").fetchall()
+    assert sorted(got) == sorted(want) and sum(not r[3] for r in got) > 20
+
+
 def test_similarity_bound_is_inclusive(spark):
     words_ = [f"t{i}" for i in range(12)]
     rows = [(1, " ".join(words_)), (2, " ".join(words_[:10]))]  # 9 and 7 windows of four
