@@ -18,6 +18,9 @@ FIVE = (0, 0.25, 0.5, 0.75, 1)
 TABLE_6 = (0.5, 0.75, 0.9, 0.95, 0.99, 0.995)
 _ROUND_LOW = (0, 0.001, 0.0015, 0.002, 0.003, 0.004, 0.006, 0.009, 0.0125, 0.018, 0.025, 0.035, 0.05, 0.075, 0.1, 0.14, 0.19, 0.25, 0.33, 0.41)
 
+#: Inner levels of either tail that move with the outermost one.
+TAIL_LEVELS = 4
+
 
 def uniform_levels(m: int) -> np.ndarray:
     """m evenly spaced levels with 0 and 1."""
@@ -36,7 +39,7 @@ def logit_levels(m: int, eps: float) -> np.ndarray:
 
 
 def rounded_logit_levels(m: int = 41) -> np.ndarray:
-    """41 convenient round levels, about evenly spaced in log odds."""
+    """The fixed grid ``round41``: short decimals whose density follows p (1 - p), mirrored at one half."""
     if m != 41:
         raise ValueError("the rounded grid has 41 levels")
     low = np.array(_ROUND_LOW)
@@ -52,10 +55,25 @@ def focus_levels(m: int, target: float, share: float) -> np.ndarray:
 
 
 def extend_tails(levels: np.ndarray, n: int) -> np.ndarray:
-    """Push the outermost inner levels out to half an observation of n, keeping the grid's size."""
+    """Push the outermost inner levels out to half an observation of n; the levels next to them follow.
+
+    On either side the first ``TAIL_LEVELS`` inner levels (fewer in a small grid) are spread evenly in log odds between the
+    new outermost level and the next one, which stays.  The grid keeps its size.
+    """
     out = np.array(levels, dtype=float)
-    if len(out) > 3 and n > 0:
-        out[1], out[-2] = min(out[1], 0.5 / n), max(out[-2], 1 - 0.5 / n)
+    moved = min(TAIL_LEVELS, (len(out) - 3) // 2)
+    if moved < 1 or n <= 1:
+        return out
+    log_odds = lambda p: np.log(p / (1 - p))
+    ends = {False: (out[1], out[moved + 1]), True: (1 - out[-2], 1 - out[-moved - 2])}
+    for upper, (first, stays) in ends.items():
+        if 0.5 / n < first * (1 - 1e-9):
+            tail = 1 / (1 + np.exp(-np.linspace(log_odds(0.5 / n), log_odds(stays), moved + 1)[:-1]))
+            tail[0] = 0.5 / n
+            if upper:
+                out[-moved - 1 : -1] = 1 - tail[::-1]
+            else:
+                out[1 : moved + 1] = tail
     return out
 
 

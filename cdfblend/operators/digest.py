@@ -130,12 +130,15 @@ class Summary:
             return
         pool = [r[4] for r in records if r[2]]
         raw = np.concatenate(pool) if pool else np.zeros(0)
-        full = [r for r in records if not r[2]]
+        self.add_pooled(raw, sum(r[1] for r in records if r[2]), [r for r in records if not r[2]])
+
+    def add_pooled(self, raw: np.ndarray, parts: int, full: list[tuple[int, int, bool, str, np.ndarray]]) -> None:
+        """One flush of the pooled values of raw digests (of ``parts`` leaves) and of full digests."""
         for values in [raw, *[r[4] for r in full]]:
             self.scale.check(values)
             self._seen(values)
-        self.n += sum(r[0] for r in records)
-        self.parts += sum(r[1] for r in records)
+        self.n += len(raw) + sum(r[0] for r in full)
+        self.parts += parts + sum(r[1] for r in full)
         self.only_raw &= not full
         self._keep_early(raw)
         self._flush(np.sort(self.scale.forward(raw)), [(self.scale.forward(r[4]), grid(r[3]).array(), float(r[0])) for r in full])

@@ -30,6 +30,8 @@ from .keyjoin import join_on
 from .rollup import merge
 from .runs import fold_runs
 
+#: Rows that a partial task looks at together, so that a key's values come in longer pieces.
+GATHER_ROWS = 1 << 17
 #: Keys whose states a partial task keeps open before it emits the oldest as digests.
 MAX_OPEN_KEYS = 50_000
 
@@ -165,8 +167,11 @@ def summarize(df: DataFrame, keys: Sequence[str | Column], value: str | Column,
 
         if engine == "sorted":
 
+            plain = bool(ks) and not emit_state and not resumes
+
             def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-                return fold_runs(batches, nk, start_run, add, finish, arrow)
+                bulk = (lambda b, lo, hi: _raw_digests(b, nk, vcol, lo, hi, scheme, arrow)) if plain else None
+                return fold_runs(batches, nk, start_run, add, finish, arrow, len(grid(scheme.report).levels), bulk)
 
             dealt = src if not ks else (src.repartition(partitions, *ks) if partitions else src.repartition(*ks))
             dealt = dealt.coalesce(1) if not ks else dealt
@@ -184,6 +189,54 @@ def summarize(df: DataFrame, keys: Sequence[str | Column], value: str | Column,
     return out.select(*[F.col(k).alias(n) for k, n in zip(ks, names, strict=True)], *out.columns[nk:])
 
 
+def _raw_digests(b: pa.RecordBatch, nk: int, vcol: int, lo: np.ndarray, hi: np.ndarray, scheme: Scheme, schema: pa.Schema) -> pa.RecordBatch:
+    """Raw digests of many short runs ``[lo, hi)`` of a batch in array steps: a key of few values is its sorted values."""
+    length = hi - lo
+    at = np.repeat(lo - (np.cumsum(length) - length), length) + np.arange(int(length.sum()))
+    run, values = np.repeat(np.arange(len(lo)), length), _doubles(b.column(vcol))[at]
+    if scheme.on_bad == "fail" and np.isinf(values).any():
+        raise ValueError("infinite value; use on_bad='skip' to leave such values out")
+    usable = np.isfinite(values)
+    run, values = run[usable], values[usable]
+    order = np.lexsort((values, run))
+    values = values[order]
+    scale(scheme.scale).check(values)
+    n = np.bincount(run, minlength=len(lo))
+    kept = np.flatnonzero(n > 0)
+    ends = np.concatenate([[0], np.cumsum(n[kept])]).astype(np.int32)
+    size = len(kept)
+    cols = {
+        "n": pa.array(n[kept], pa.int64()), "parts": pa.array(np.ones(size, np.int64)), "raw": pa.array(np.ones(size, bool)), "grid": pa.nulls(size, pa.string()),
+        "scale": pa.array([scheme.scale] * size, pa.string()), "vals": pa.ListArray.from_arrays(pa.array(ends), pa.array(values)),
+    }
+    digest = pa.StructArray.from_arrays([cols[f.name] for f in DIGEST_ARROW], fields=list(DIGEST_ARROW))
+    keys = [b.column(k).take(pa.array(lo[kept])).cast(schema.field(k).type) for k in range(nk)]
+    return pa.RecordBatch.from_arrays([*keys, digest, pa.array((length - n)[kept], pa.int64())], schema=schema)
+
+
+def summarize_arms(df: DataFrame, keys: Sequence[str], value: str | Column, order: Sequence[str | Column], arms: dict[str, Scheme]) -> DataFrame:
+    """``keys, arm, digest``: the digests of several schemes from one shuffle, one sort and one pass over the rows."""
+    src, ks, os_ = keyed(df, keys, value, order)
+    schema, arrow = out_schema(src, ks, T.StructField("digest", DIGEST))
+    schema, arrow = T.StructType([T.StructField("arm", T.StringType()), *schema.fields]), pa.schema([("arm", pa.string()), *arrow])
+    vcol = len(ks) + len(os_)
+
+    def add(cells: dict[str, _Intake], b: pa.RecordBatch) -> None:
+        values = _doubles(b.column(vcol))
+        for x in cells.values():
+            x.add(values)
+
+    def finish(key: tuple, cells: dict[str, _Intake]) -> list[dict]:
+        rows = [{"arm": arm, "digest": x.digest()} | dict(zip(ks, key, strict=True)) for arm, x in cells.items()]
+        return [r for r in rows if r["digest"] is not None]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        return fold_runs(batches, len(ks), lambda: {arm: _Intake(s) for arm, s in arms.items()}, add, finish, arrow)
+
+    out = src.repartition(*ks).sortWithinPartitions(*ks, *os_).mapInArrow(run, schema)
+    return out.select(*[F.col(k).alias(n) for k, n in zip(ks, keys, strict=True)], "arm", "digest")
+
+
 class _Struct:
     """A hashable struct value."""
 
@@ -201,6 +254,20 @@ def _hashable(v):
     return _Struct(v) if isinstance(v, dict) else v
 
 
+def gathered(batches: Iterator[pa.RecordBatch], rows: int) -> Iterator[pa.RecordBatch]:
+    """The same rows in batches of about ``rows``."""
+    held: list[pa.RecordBatch] = []
+    size = 0
+    for b in batches:
+        held.append(b)
+        size += b.num_rows
+        if size >= rows:
+            yield from pa.Table.from_batches(held).combine_chunks().to_batches()
+            held, size = [], 0
+    if size:
+        yield from pa.Table.from_batches(held).combine_chunks().to_batches()
+
+
 def partial_digests(src: DataFrame, ks: list[str], os_: list[str], scheme: Scheme, max_open: int = MAX_OPEN_KEYS) -> DataFrame:
     """Digests per (task, key) without moving a row; several per key where a task closes states early."""
     nk, vcol = len(ks), len(ks) + len(os_)
@@ -219,7 +286,7 @@ def partial_digests(src: DataFrame, ks: list[str], os_: list[str], scheme: Schem
             if rows:
                 yield pa.RecordBatch.from_pylist(rows, schema=arrow)
 
-        for b in batches:
+        for b in gathered(batches, GATHER_ROWS):
             values = _doubles(b.column(vcol))
             if nk:
                 table = pa.table({f"{k}": b.column(k) for k in range(nk)})
@@ -255,11 +322,9 @@ def partial_digests(src: DataFrame, ks: list[str], os_: list[str], scheme: Schem
 
 def _partial(src: DataFrame, ks: list[str], os_: list[str], scheme: Scheme) -> DataFrame:
     pieces = partial_digests(src, ks, os_, scheme)
-    skipped = pieces.groupBy(*ks).agg(F.sum("n_skipped").alias("_skipped"))
-    whole = merge(pieces, ks, "digest", ["digest.n", "digest.vals"], scheme.but(batch=max(2, (scheme.batch or 100))))
-    joined = join_on(whole, skipped, ks)
+    whole = merge(pieces, ks, "digest", ["digest.n", "digest.vals"], scheme.but(batch=max(2, (scheme.batch or 100))), carry="n_skipped")
     one = F.struct(F.col("digest.n").alias("n"), F.lit(1).cast("long").alias("parts"), *[F.col(f"digest.{c}").alias(c) for c in ("raw", "grid", "scale", "vals")])
-    return joined.select(*ks, one.alias("digest"), F.col("_skipped").alias("n_skipped"))
+    return whole.select(*ks, one.alias("digest"), "n_skipped")
 
 
 def most_held(df: DataFrame, value: str | Column, scheme: Scheme = Scheme()) -> DataFrame:

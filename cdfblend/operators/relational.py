@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 
 from ..functions.curve import SLACK, FlushRules
 from ..functions.readout import KNOWN, trimmed
+from ..scratch import scratch
 
 
 def step_cdf(df: DataFrame, keys: Sequence[str], value: str) -> DataFrame:
@@ -101,10 +102,13 @@ def merge_one_blend(df: DataFrame, keys: Sequence[str], levels: Sequence[float],
 def global_blend(df: DataFrame, levels: Sequence[float], digest: str = "digest", rules: FlushRules = FlushRules(), grids: Sequence[str] = KNOWN, buckets: int = 64) -> DataFrame:
     """The blend of all digests, without a one-partition sort: ``level, value``.
 
+    The slope and jump rows are written once to the session's shared folder and read from there by every step.
     Rows go to ``buckets`` ranges of x by approximate quantiles; slope and mass before a bucket come from
     prefix sums over the table of buckets, whose size is fixed.
     """
-    seg = segments(df, [], digest, grids)
+    path = scratch(df.sparkSession)
+    segments(df, [], digest, grids).write.parquet(path)
+    seg = df.sparkSession.read.parquet(path)
     cuts = seg.select(F.percentile_approx("x", [k / buckets for k in range(1, buckets)], 10_000).alias("cuts"))
     placed = seg.crossJoin(F.broadcast(cuts)).withColumn("b", F.size(F.filter("cuts", lambda c: c < F.col("x")))).drop("cuts")
     inside = sweep(placed, ["b"], rules)

@@ -24,23 +24,38 @@ def boundaries(batch: pa.RecordBatch, n_keys: int) -> np.ndarray:
     return np.flatnonzero(changed) + 1
 
 
-def fold_runs(batches: Iterator[pa.RecordBatch], n_keys: int, start: Callable[[], object], add: Callable[[object, pa.RecordBatch], None], finish: Callable[[tuple, object], dict | None], schema: pa.Schema) -> Iterator[pa.RecordBatch]:
-    """``add`` gets slices of one key in order; ``finish`` turns a closed run into a row (or None)."""
+def fold_runs(batches: Iterator[pa.RecordBatch], n_keys: int, start: Callable[[], object], add: Callable[[object, pa.RecordBatch], None], finish: Callable[[tuple, object], dict | list[dict] | None], schema: pa.Schema, short: int = 0, bulk: Callable[[pa.RecordBatch, np.ndarray, np.ndarray], pa.RecordBatch] | None = None) -> Iterator[pa.RecordBatch]:
+    """``add`` gets slices of one key in order; ``finish`` turns a closed run into a row, rows or None.
+
+    Runs of fewer than ``short`` rows that lie inside a batch go to ``bulk`` together: (batch, their starts, their ends).
+    """
     key: tuple | None = None
     state: object = None
+
+    def close() -> list[dict]:
+        got = finish(key, state) if state is not None else None
+        return got if isinstance(got, list) else [got] if got is not None else []
+
     for b in batches:
         if not b.num_rows:
             continue
-        cuts = [0, *boundaries(b, n_keys).tolist(), b.num_rows]
+        lo = np.concatenate([[0], boundaries(b, n_keys)])
+        hi = np.concatenate([lo[1:], [b.num_rows]])
+        if bulk is not None:
+            inner = hi - lo < short
+            inner[[0, -1]] = False
+            if inner.any():
+                yield bulk(b, lo[inner], hi[inner])
+                lo, hi = lo[~inner], hi[~inner]
         out: list[dict] = []
-        for lo, hi in zip(cuts, cuts[1:], strict=False):
-            here = tuple(b.column(k)[lo].as_py() for k in range(n_keys))
+        for i, j in zip(lo.tolist(), hi.tolist(), strict=True):
+            here = tuple(b.column(k)[i].as_py() for k in range(n_keys))
             if here != key or state is None:
-                if state is not None and (row := finish(key, state)) is not None:
-                    out.append(row)
+                out += close()
                 key, state = here, start()
-            add(state, b.slice(lo, hi - lo))
+            add(state, b.slice(i, j - i))
         if out:
             yield pa.RecordBatch.from_pylist(out, schema=schema)
-    if state is not None and (row := finish(key, state)) is not None:
-        yield pa.RecordBatch.from_pylist([row], schema=schema)
+    rows = close()
+    if rows:
+        yield pa.RecordBatch.from_pylist(rows, schema=schema)

@@ -239,7 +239,6 @@ query("""SELECT user_id, date_trunc('hour', ts) AS hour, count(*) AS n, list_sor
     .select("user_id", "hour", F.col("digest.n").alias("n"), F.col("digest.vals").alias("vals"))
 )
 
-_SUBSET = sorted(set(O.uniform_list(21)) | set(FIVE))
 query(O.final(O.unrolled([float(x) for x in np.union1d(L.uniform_levels(21), L.FIVE)], 3, 41, EV_RAW), 3, f"k AS user_id, {VALUE}", f"WHERE p IN ({', '.join(map(repr, map(float, FIVE)))})"), "report_subset")(
     lambda spark, sf: flat(_user_digests(spark, sf, Scheme(grid="uniform:21", report="five", batch=41, report_mode="subset")), ["user_id"])
 )
@@ -295,7 +294,6 @@ _SLOG_RAW = "SELECT c_nationkey AS k, row_number() OVER (PARTITION BY c_nationke
 query(_leaf_sql(_SLOG_RAW, "c_nationkey", FIVE, 4, 25, "p AS level, round(sign(v) * (exp(abs(v)) - 1), 7) AS value"), "leaf_slog")(
     lambda spark, sf: flat(summarize(table(spark, sf, "customer"), ["c_nationkey"], "c_acctbal", ["c_custkey"], Scheme(grid="five", report="five", batch=25, scale="slog")), ["c_nationkey"])
 )
-_L10 = O.logit_list(10, 0.005)
 query(_leaf_sql(EV_RAW, "user_id", [float(p) for p in L.grid("report10").levels], 3, 41, interp="logit"), "leaf_logit")(
     lambda spark, sf: flat(_user_digests(spark, sf, Scheme(grid="report10", report="report10", batch=41, interp="logit")), ["user_id"])
 )
@@ -328,11 +326,22 @@ query("SELECT event_type, count(*) AS n, count(DISTINCT user_id) AS parts, min(v
 _HIER = "events AS e JOIN customer AS c ON c.c_custkey = e.user_id JOIN nation AS n ON n.n_nationkey = c.c_nationkey JOIN region AS r ON r.r_regionkey = n.n_regionkey"
 
 
-@query(f"SELECT r_name AS region, count(*) AS n, count(DISTINCT user_id) AS parts, min(value) AS low, max(value) AS high FROM {_HIER} GROUP BY r_name")
+def tier_sql(below: str, parent: str, order: str, flushes: int, batch: int, select: str) -> str:
+    """One more roll-up in SQL: ``below`` gives ``(leaf, n, m, p, v)``, ``parent`` and ``order`` are SQL over leaf."""
+    dig = f"SELECT {parent} AS k, dense_rank() OVER (PARTITION BY {parent} ORDER BY {order}) AS rn, dense_rank() OVER (PARTITION BY {parent} ORDER BY {order}) AS cid, n, m, p, v FROM ({below}) AS below"
+    return f"WITH {O.unrolled(FIVE, flushes, batch, None, dig)}\nSELECT {select} FROM kn_{flushes}"
+
+
+_NATIONS = rolled("SELECT user_id AS k, value AS x FROM events", FIVE, "(SELECT n_name FROM customer JOIN nation ON n_nationkey = c_nationkey WHERE c_custkey = ll.k)", "k", 16, 5, "k AS leaf, w AS n, m, p, v")
+
+
+@query(tier_sql(_NATIONS, "(SELECT r_name FROM nation JOIN region ON r_regionkey = n_regionkey WHERE n_name = leaf)", "leaf", 3, 2, f"k AS region, CAST(w AS BIGINT) AS n, {VALUE}"))
 def hier_user_nation_region(spark, sf):
     """User -> nation -> region; every tier reads the digests of the one below."""
-    d = _user_digests(spark, sf, _S41).join(hierarchy(spark, sf), "user_id").select("region", "nation", "user_id", "digest")
-    return _facts(merge_levels(d, [["region", "nation"], ["region"]], scheme=_S41)[-1], "region")
+    d = _user_digests(spark, sf, EXACT5).join(hierarchy(spark, sf), "user_id").select("region", "nation", "user_id", "digest")
+    nations = merge(d, ["region", "nation"], "digest", ["user_id"], EXACT5.but(batch=5))
+    regions = merge(nations, ["region"], "digest", ["nation"], EXACT5.but(batch=2))
+    return R.long(regions.withColumn("n", F.col("digest.n")), ["region", "n"], digits=7)
 
 
 query(
@@ -341,12 +350,16 @@ query(
 )(lambda spark, sf: flat(merge(_user_digests(spark, sf, EXACT5).join(hierarchy(spark, sf), "user_id"), ["nation"], "digest", ["user_id"], EXACT5.but(batch=5)), ["nation"]))
 
 
-@query("SELECT date_trunc('month', ts) AS month, count(*) AS n, count(DISTINCT date_trunc('hour', ts)) AS parts, min(value) AS low, max(value) AS high FROM events GROUP BY ALL")
+_DAYS_OF_HOURS = rolled("SELECT date_trunc('hour', ts) AS k, value AS x FROM events", FIVE, "date_trunc('day', k)", "k", 1, 24, "k AS leaf, w AS n, m, p, v", raw_below=5)
+
+
+@query(tier_sql(_DAYS_OF_HOURS, "date_trunc('month', leaf)", "leaf", 4, 10, f"k AS month, CAST(w AS BIGINT) AS n, {VALUE}"))
 def hier_hour_day_month(spark, sf):
     e = ev(spark, sf).withColumn("hour", F.date_trunc("hour", "ts").cast("timestamp_ntz"))
-    hours = summarize(e, ["hour"], "value", ORDER["events"], _S41)
+    hours = summarize(e, ["hour"], "value", ORDER["events"], EXACT5)
     day, month = F.date_trunc("day", "hour").cast("timestamp_ntz").alias("day"), F.date_trunc("month", "day").cast("timestamp_ntz").alias("month")
-    return _facts(merge_levels(hours, [[day], [month]], scheme=_S41)[-1], "month")
+    days = merge(hours, [day], "digest", ["hour"], EXACT5.but(batch=24))
+    return R.long(merge(days, [month], "digest", ["day"], EXACT5.but(batch=10)).withColumn("n", F.col("digest.n")), ["month", "n"], digits=7)
 
 
 @query("SELECT path, CAST(n AS BIGINT) AS n FROM (SELECT count(*) AS n FROM events) AS z CROSS JOIN (VALUES ('by_hour_then_users'), ('by_user_then_hours')) AS p(path)")
@@ -362,16 +375,16 @@ def path_compare(spark, sf):
 _RS = "SELECT struct_pack(u := user_id, s := c_mktsegment, r := r_name) AS k, value AS x FROM " + _HIER
 
 
-def slice_quantiles(store: DataFrame, leaves: DataFrame | None, where: str, keys: list[str], levels: list[float]) -> DataFrame:
-    """Digests of a store restricted by a leaf set (semi join) and a filter, blended at once per key."""
+def slice_quantiles(store: DataFrame, leaves: DataFrame | None, where: str, keys: list[str], levels: list[float], on: tuple[str, ...] = ("user_id",)) -> DataFrame:
+    """Digests of a store restricted by a filter and to a set of leaves, whose attributes may be keys, blended at once per key."""
     picked = store.where(where)
     if leaves is not None:
-        picked = picked.join(leaves, leaves.columns, "left_semi")
+        picked = picked.join(leaves, list(on))
     return rel.merge_one_blend(picked, keys, levels)
 
 
 query(rolled(_RS + " WHERE r_name IN ('ASIA', 'EUROPE')", FIVE, "k.r", "k.u", 1, 10**9, f"k AS region, {VALUE}"), "slice_region")(
-    lambda spark, sf: slice_quantiles(_user_digests(spark, sf, EXACT5).join(hierarchy(spark, sf), "user_id"), hierarchy(spark, sf).where("region in ('ASIA', 'EUROPE')").select("user_id").distinct(), "user_id is not null", ["region"], FIVE)
+    lambda spark, sf: slice_quantiles(_user_digests(spark, sf, EXACT5), hierarchy(spark, sf).where("region in ('ASIA', 'EUROPE')"), "user_id is not null", ["region"], FIVE)
     .select("region", "level", F.round("value", 7).alias("value"))
 )
 _WEEK = "SELECT struct_pack(u := user_id, s := c_mktsegment, d := date_trunc('day', ts)) AS k, value AS x FROM " + _HIER + " WHERE ts >= TIMESTAMP '2024-01-08' AND ts < TIMESTAMP '2024-01-15'"
@@ -398,9 +411,6 @@ def cube_segment_region(spark, sf):
     return rel.merge_one_blend(wide, ["segment", "region"], FIVE).select("segment", "region", "level", F.round("value", 7).alias("value"))
 
 
-_LOGS = "SELECT l_suppkey AS k, ln(l_extendedprice) AS x FROM lineitem"
-
-
 @query(rolled(_SUP, FIVE, _SUP_NATION, "k", 6, 3, "k AS s_nationkey, p AS level, round(exp(v), 7) AS value").replace("dg.v FROM od", "ln(dg.v) AS v FROM od"))
 def merge_log(spark, sf):
     """Digest values blended on the log scale."""
@@ -530,9 +540,6 @@ query("SELECT user_id, value FROM (SELECT user_id, value, row_number() OVER (PAR
 )
 
 # ---- measures ---------------------------------------------------------------------------------------------
-_CONT = "quantile_cont(value, {})"
-
-
 @query(" UNION ALL ".join(f"SELECT CAST({p} AS DOUBLE) AS level, round(sqrt({p} * (1 - {p}) / count(value)) * (quantile_cont(value, least({p} + 0.01, 1)) - quantile_cont(value, {p} - 0.01)) / (least({p} + 0.01, 1) - ({p} - 0.01)), 6) AS se FROM events" for p in T6))
 def tab1_se(spark, sf):
     return A.asymptotic_se(ev(spark, sf), "value", T6).withColumn("se", F.round("se", 6))

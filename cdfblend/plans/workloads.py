@@ -11,12 +11,12 @@ from ..functions import readout as R
 from ..operators import baselines as B
 from ..operators import measures as A
 from ..operators.digest import Scheme
-from ..operators.leaf import summarize
+from ..operators.leaf import summarize, summarize_arms
 from ..operators.rollup import merge, merge_levels
 from ..registry import query
 from ..sources import simulate as S
 from ..sources.tables import ORDER, hierarchy, table
-from .methods import EXACT5, FIVE, LI_ORDER, VALUE, _supplier_digests, flat, leaf_lists, rolled
+from .methods import EXACT5, FIVE, LI_ORDER, VALUE, flat, leaf_lists, rolled
 
 T6 = list(L.TABLE_6)
 POOLED = Scheme(grid="logit:100:0.0025", report="list:0.0," + ",".join(map(repr, T6)) + ",1.0", batch=100, scale="log1p")
@@ -171,42 +171,43 @@ query(rolled(_FAR, FIVE, "0", "(SELECT v FROM dg WHERE dg.k = ll.k AND dg.m = 2)
 # ---- ablations --------------------------------------------------------------------------------------------
 
 
-def _error(spark, sf, scheme: Scheme, **tags) -> DataFrame:
-    """Mean absolute relative error over the six levels, per event type."""
-    e = table(spark, sf, "events")
-    s = scheme.but(report=POOLED.report)
-    est = R.long(summarize(e, ["event_type"], "value", ORDER["events"], s), ["event_type"], grids=(s.report,)).where(F.col("level").isin(T6))
-    c = A.compare(est, B.exact_quantiles(e, ["event_type"], "value", T6), ["event_type"])
-    return c.agg(F.avg(F.abs("difference") / F.col("exact")).alias("error")).select(*[F.lit(v).alias(k) for k, v in tags.items()], "error")
+def _relative_error(est: DataFrame, exact: DataFrame, key: str) -> DataFrame:
+    """``arm, error``: mean absolute relative error of every arm over keys and levels."""
+    both = est.join(exact.select(key, "level", F.col("value").alias("exact")), [key, "level"])
+    return both.groupBy("arm").agg(F.avg(F.abs(F.col("value") - F.col("exact")) / F.col("exact")).alias("error"))
 
 
-def _union(parts: list[DataFrame]) -> DataFrame:
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionAll(p)
-    return out
+def _arm_errors(spark, sf, arms: dict[str, Scheme]) -> DataFrame:
+    """All arms from one pass over the events, against the exact values of each event type at the six levels."""
+    e = table(spark, sf, "events")
+    got = summarize_arms(e, ["event_type"], "value", ORDER["events"], {arm: s.but(report=POOLED.report) for arm, s in arms.items()})
+    est = R.long(got, ["arm", "event_type"], grids=(POOLED.report,)).where(F.col("level").isin(T6))
+    return _relative_error(est, B.exact_quantiles(e, ["event_type"], "value", T6), "event_type")
 
 
-query(None, "ablate_sizes")(lambda spark, sf: _union([_error(spark, sf, Scheme(grid=f"uniform:{m}", batch=b), knots=m, batch=b) for m in (11, 41, 101) for b in (20, 100, 400)]))
+_part = lambda k: F.split("arm", "/")[k]
+query(None, "ablate_sizes")(
+    lambda spark, sf: _arm_errors(spark, sf, {f"{m}/{b}": Scheme(grid=f"uniform:{m}", batch=b) for m in (11, 41, 101) for b in (20, 100, 400)})
+    .select(_part(0).cast("int").alias("knots"), _part(1).cast("int").alias("batch"), "error")
+)
 query(None, "ablate_scheme")(
-    lambda spark, sf: _union(
-        [_error(spark, sf, Scheme(grid=g, batch=41, interp=i, scale=c), grid=g, interp=i, scale=c) for g in ("uniform:41", "round41") for i in ("linear", "logit") for c in ("identity", "log1p")]
-    )
+    lambda spark, sf: _arm_errors(spark, sf, {f"{g}/{i}/{c}": Scheme(grid=g, batch=41, interp=i, scale=c) for g in ("uniform:41", "round41") for i in ("linear", "logit") for c in ("identity", "log1p")})
+    .select(_part(0).alias("grid"), _part(1).alias("interp"), _part(2).alias("scale"), "error")
 )
 
 
-def _record_error(spark, sf, m: int) -> DataFrame:
-    g = f"uniform:{m}"
-    s = Scheme(grid=g, report=g, batch=None)
-    l = table(spark, sf, "lineitem")
-    d = _supplier_digests(spark, sf, s)
-    est = R.long(merge(d, ["s_nationkey"], "digest", ["l_suppkey"], Scheme(grid="uniform:101", report="list:0.0,0.25,0.5,0.75,1.0", batch=10)), ["s_nationkey"], grids=("list:0.0,0.25,0.5,0.75,1.0",))
-    x = l.join(table(spark, sf, "supplier"), l.l_suppkey == F.col("s_suppkey"))
-    c = A.compare(est, B.exact_quantiles(x, ["s_nationkey"], "l_extendedprice", [0.25, 0.5, 0.75]), ["s_nationkey"])
-    return c.agg(F.avg(F.abs("difference") / F.col("exact")).alias("error")).select(F.lit(m).alias("record"), "error")
+def record_errors(spark, sf, lengths=(5, 10, 20, 50)) -> DataFrame:
+    """Roll-ups of leaf records of several lengths, all from one pass over the leaves."""
+    quarters = "list:0.0,0.25,0.5,0.75,1.0"
+    l, s = table(spark, sf, "lineitem"), table(spark, sf, "supplier")
+    leaves = summarize_arms(l, ["l_suppkey"], "l_extendedprice", ORDER["lineitem"], {str(m): Scheme(grid=f"uniform:{m}", report=f"uniform:{m}", batch=None) for m in lengths})
+    nations = merge(leaves.join(s, leaves.l_suppkey == s.s_suppkey), ["arm", "s_nationkey"], "digest", ["l_suppkey"], Scheme(grid="uniform:101", report=quarters, batch=10))
+    est = R.long(nations, ["arm", "s_nationkey"], grids=(quarters,)).where(F.col("level").isin(0.25, 0.5, 0.75))
+    exact = B.exact_quantiles(l.join(s, l.l_suppkey == s.s_suppkey), ["s_nationkey"], "l_extendedprice", [0.25, 0.5, 0.75])
+    return _relative_error(est, exact, "s_nationkey").select(F.col("arm").cast("int").alias("record"), "error")
 
 
-query(None, "ablate_record_length")(lambda spark, sf: _union([_record_error(spark, sf, m) for m in (5, 10, 20, 50)]))
+query(None, "ablate_record_length")(record_errors)
 
 # ---- slices, rankings, other domains ------------------------------------------------------------------------
 _H = "events AS e JOIN customer AS c ON c.c_custkey = e.user_id JOIN nation AS n ON n.n_nationkey = c.c_nationkey JOIN region AS r ON r.r_regionkey = n.n_regionkey"

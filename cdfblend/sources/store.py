@@ -2,33 +2,15 @@
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 from ..operators.digest import DIGEST_DDL, Scheme
 from ..operators.leaf import summarize
+from ..scratch import scratch
 from .tables import ORDER, table
 
-_local: list[str] = []
-
-
-def scratch(spark: SparkSession) -> str:
-    """A fresh path in the shared folder that the session names; a temporary one only where none is set."""
-    root = spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not root:
-        if not _local:
-            _local.append(tempfile.mkdtemp(prefix="cdfblend-store-"))
-            atexit.register(shutil.rmtree, _local[0], True)
-        root = f"file://{_local[0]}"
-    return f"{root.rstrip('/')}/store-{uuid.uuid4().hex[:12]}"
-
-
 def write(digests: DataFrame, path: str, by: str = "day", keys: tuple[str, ...] = ("user_id",), mode: str = "append") -> None:
     """Partitioned by period, rows of a partition together and sorted by key."""
     digests.repartition(by).sortWithinPartitions(by, *keys).write.mode(mode).partitionBy(by).parquet(path)

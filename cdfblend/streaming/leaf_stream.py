@@ -2,9 +2,9 @@
 
 State is the knots, the counts and the pending batch, a few kilobytes whatever the length of the stream.  An
 event-time timer at the end of a period emits the digest and clears the state.  Rows of a micro-batch are
-sorted by arrival inside a key before they enter.  Rows older than the watermark are dropped by Spark
-and show in the query's progress; with ``late='correct'`` rows that arrive after their period was closed, yet
-inside the watermark's allowance, give a supplementary digest of the same period, which a roll-up merges.
+sorted by arrival inside a key before they enter.  A period closes when the watermark passes its end, so a row of a
+closed period lies behind the watermark: Spark drops it and counts it in the query's progress.  The watermark's delay is
+the time that late rows are waited for; what comes later still can be summarised as a batch, and its digests merged.
 """
 
 from __future__ import annotations
@@ -79,14 +79,8 @@ class _Leaf(StatefulProcessor):
         pass
 
 
-def leaf_stream(df: DataFrame, keys: Sequence[str], value: str, time: str, period: str, scheme: Scheme = Scheme(), order: Sequence[str] = (), late: str = "drop") -> DataFrame:
-    """``keys, period_start, period_end, digest, n_skipped`` from a stream with a watermark on ``time``.
-
-    ``late='drop'`` is Spark's rule alone; ``late='correct'`` also accepts rows of closed periods that the
-    watermark still lets through and emits them as one more digest of their period.
-    """
-    if late not in ("drop", "correct"):
-        raise ValueError(f"unknown rule for late rows {late!r}")
+def leaf_stream(df: DataFrame, keys: Sequence[str], value: str, time: str, period: str, scheme: Scheme = Scheme(), order: Sequence[str] = ()) -> DataFrame:
+    """``keys, period_start, period_end, digest, n_skipped`` from a stream with a watermark on ``time``."""
     w = F.window(time, period)
     plain = lambda o: F.unix_micros(o) if isinstance(df.schema[o].dataType, T.TimestampType) else F.col(o)  # noqa: E731  a stream has one event-time column
     rows = df.select(*keys, F.col(time), *[plain(o).alias(f"leaf_order_{i}") for i, o in enumerate(order)], F.col(value).cast("double").alias("leaf_value"), w["start"].alias("period_start"), w["end"].alias("leaf_closes"))

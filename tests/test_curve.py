@@ -99,14 +99,25 @@ def test_grids():
     assert len(g) == 100 and g[1] == pytest.approx(0.0025) and np.allclose(np.diff(np.log(g[1:-1] / (1 - g[1:-1])), 2), 0, atol=1e-9)
     assert np.allclose(L.grid("report10").levels[1:5], [0.005, 0.02229, 0.09376, 0.31947], atol=1e-5)
     assert (np.abs(L.focus_levels(41, 0.9, 0.5) - 0.9) <= 0.05).sum() >= 19
-    assert L.extend_tails(L.uniform_levels(11), 10_000)[1] == 0.5 / 10_000
+    wide = L.extend_tails(L.uniform_levels(21), 10_000)
+    assert wide[1] == 0.5 / 10_000 and wide[-2] == 1 - 0.5 / 10_000 and len(wide) == 21
+    assert (np.diff(wide) > 0).all() and np.allclose(wide[5:-5], L.uniform_levels(21)[5:-5])
+    odds = np.log(wide[1:6] / (1 - wide[1:6]))
+    assert np.allclose(np.diff(odds), odds[1] - odds[0]) and np.allclose(wide + wide[::-1], 1)
+    assert (L.extend_tails(wide, 100) == wide).all() and L.extend_tails(wide, 10**6)[1] == 0.5e-6
     assert L.grid(L.list_grid([0, 0.1, 1])).levels == (0, 0.1, 1)
     assert len(L.train_levels(np.exp(np.random.default_rng(0).normal(size=500)), 41)) == 41
     for bad in ("uniform:1", "logit:2:0.1", "logit:9:0.7", "list:0.5,0.2", "what"):
         with pytest.raises(ValueError):
             L.grid(bad)
     k = run([np.exp(np.random.default_rng(0).normal(size=300))], levels=L.uniform_levels(11))
-    assert len(adapt_levels(k)) == 11
+    gap = lambda s: np.hypot(np.diff(s.values) / (s.values[-1] - s.values[0]), np.diff(s.levels)).max()
+    begin = gap(k)
+    for _ in range(30):  # levels wander into the long tail: the longest stretch of (value + level) shrinks
+        p = adapt_levels(k)
+        assert len(p) == 11 and p[0] == 0 and p[-1] == 1
+        k = Knots(p, np.interp(p, k.levels, k.values), k.n)
+    assert gap(k) < begin / 2
 
 
 def test_scales():

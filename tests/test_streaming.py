@@ -56,6 +56,36 @@ def test_windows_equal_their_batch_twins(spark, replay):
     assert {tuple(r) for r in want.collect()} <= {tuple(r) for r in got.collect()}
 
 
+def test_sliding_windows_and_output_modes(spark, replay):
+    rows = replay[2]
+    batch = spark.createDataFrame(rows, replay[1]).withColumn("ts", F.col("ts").cast("timestamp"))
+    want = {tuple(r) for r in S.event_counts(batch, "ts", ["event_type"], "2 days", "1 day").collect()}
+    end = F.lit(max(r.ts for r in rows) + dt.timedelta(days=2))
+    got, _ = collect(spark, S.event_counts(stream(spark, replay), "ts", ["event_type"], "2 days", "1 day"), "sliding")
+    assert {tuple(r) for r in got.where(F.col("start") < end).collect()} == want
+    # complete mode keeps every group (and so the late row, which append mode leaves out); update mode repeats a group as it grows
+    late = (rows[0].event_type, rows[0].ts)
+    full, _ = collect(spark, S.event_counts(stream(spark, replay), "ts", ["event_type"], "2 days", "1 day"), "full", "complete")
+    off = {tuple(r) for r in full.where(F.col("start") < end).collect()} ^ want
+    assert all(t == late[0] for t, *_ in off)
+    grown, _ = collect(spark, S.event_counts(stream(spark, replay), "ts", ["event_type"], "2 days", "1 day"), "grown", "update")
+    last = {tuple(r) for r in grown.where(F.col("start") < end).groupBy("event_type", "start").agg(F.max("n")).collect()}
+    assert all(t == late[0] for t, *_ in last ^ want) and grown.count() >= len(want)
+
+
+def test_sink_inside_a_stream(spark, replay, tmp_path):
+    leaves = S.leaf_stream(stream(spark, replay), ["event_type"], "value", "ts", "1 day", SCHEME, ["ts", "event_id"])
+    sink = S.roll_up_sink(f"file://{tmp_path}/out", ["event_type"], Scheme(batch=10))
+    q = leaves.writeStream.foreachBatch(sink).outputMode("append").option("checkpointLocation", f"file://{tmp_path}/cp").trigger(availableNow=True).start()
+    q.awaitTermination(240)
+    assert q.exception() is None
+    got = {r.event_type: r.n for r in spark.read.parquet(f"file://{tmp_path}/out").where("period_start < timestamp'2024-02-15'").groupBy("event_type").agg(F.sum("digest.n").alias("n")).collect()}
+    want = {}
+    for r in replay[2]:
+        want[r.event_type] = want.get(r.event_type, 0) + 1
+    assert got == want
+
+
 def test_leaf_stream_equals_batch_and_late_rows_are_counted(spark, replay):
     rows = replay[2]
     out = S.leaf_stream(stream(spark, replay), ["event_type"], "value", "ts", "1 day", SCHEME, ["ts", "event_id"])
