@@ -1,7 +1,8 @@
 """Main-text extraction by a tree-structured graphical model over the blocks of a page.
 
-Every block is a binary variable, content or not.  Unary potentials read the tag, the class/id/role stems and
-the text statistics of a block; parent-child potentials depend on the kind of the child.
+Every block is a binary variable, content or not.  Unary potentials read the tag, hashed words and word pieces of the
+class, id and role names, and statistics of the block's own text, of all text below it and of its place in the page; no
+name has a meaning given by hand.  Parent-child potentials depend on the kind of the child.
 Sum-product messages go up and down the tree, so marginals are exact; the text of blocks whose
 marginal is at least one half is the result.  Weights are fitted by gradient ascent on the conditional
 likelihood of labelled pages, whose gradient uses the same messages.  The labelled pages come
@@ -22,16 +23,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .html_tree import LEXICON, TAGS, Kinds, Page, read
+from .html_tree import NAME_BUCKETS, TAGS, Kinds, Page, read
 from .memory import tidy
 
 PIECE_CHARS = 1 << 20
-STATS = 5
+STATS = 11
 #: Coupling type by tag group of the child: landmarks, text blocks, others.
 _LANDMARKS = frozenset("article main nav header footer aside form body".split())
 _FLOW = frozenset("p heading list item cell quote figure".split())
 COUPLING = np.array([0 if t in _LANDMARKS else 1 if t in _FLOW else 2 for t in TAGS])
-FEATURES = len(TAGS) + len(LEXICON) + STATS
+NAMED = len(TAGS) + NAME_BUCKETS
+FEATURES = NAMED + STATS
 
 
 @dataclass
@@ -41,21 +43,35 @@ class Forest:
     parent: np.ndarray
     depth: np.ndarray
     kind: np.ndarray
-    stats: np.ndarray
     first: np.ndarray
+    stats: np.ndarray | None = None
 
     @classmethod
-    def of(cls, pages: list[Page]) -> Forest:
+    def of(cls, pages: list[Page], kinds: Kinds) -> Forest:
         sizes = np.array([len(p.parent) for p in pages], np.int64)
         first = np.cumsum(sizes) - sizes
         flat = lambda name: np.array([x for p in pages for x in getattr(p, name)], np.int64)
         parent = flat("parent")
         parent = np.where(parent >= 0, parent + np.repeat(first, sizes), -1)
+        out = cls(parent, flat("depth"), flat("kind"), first)
         chars, linked = flat("chars").astype(float), flat("linked").astype(float)
-        share = linked / np.maximum(chars, 1)
+        tags = np.array([tag for tag, _ in kinds.rows] or [0])[out.kind]
+        under = np.stack([chars, linked, (tags == TAGS.index("p")).astype(float)], axis=1)
+        for level in reversed(out.levels()[1:]):  # of whole subtrees, leaves to roots
+            np.add.at(under, parent[level], under[level])
+        page = np.repeat(np.arange(len(pages)), sizes)
+        total = np.maximum(under[first, 0], 1)[page] if len(pages) else np.zeros(0)
+        upto = np.cumsum(chars) - chars
+        before = (upto - upto[first][page]) / total if len(pages) else np.zeros(0)
         has = (chars > 0).astype(float)
-        stats = np.stack([has, np.log1p(chars) / 6, share, has * (chars < 25), np.ones(len(chars))], axis=1)
-        return cls(parent, flat("depth"), flat("kind"), stats, first)
+        out.stats = np.stack(
+            [
+                has, np.log1p(chars) / 6, linked / np.maximum(chars, 1), has * (chars < 25), np.ones(len(chars)),
+                np.log1p(under[:, 0]) / 8, under[:, 1] / np.maximum(under[:, 0], 1), under[:, 0] / total, before, np.log1p(under[:, 2]) / 3, (under[:, 0] > 0).astype(float),
+            ],
+            axis=1,
+        )
+        return out
 
     def levels(self) -> list[np.ndarray]:
         order = np.argsort(self.depth, kind="stable")
@@ -64,13 +80,28 @@ class Forest:
         return [order[cut[k] : cut[k + 1]] for k in range(top + 1)]
 
 
-def kind_features(kinds: Kinds) -> tuple[np.ndarray, np.ndarray]:
-    """(binary features, coupling type) by interned kind."""
-    x = np.zeros((len(kinds.rows), len(TAGS) + len(LEXICON)))
-    for k, (tag, stems) in enumerate(kinds.rows):
-        x[k, tag] = 1
-        x[k, [len(TAGS) + s for s in stems]] = 1
-    return x, COUPLING[[tag for tag, _ in kinds.rows]] if kinds.rows else np.zeros(0, int)
+@dataclass
+class KindFeatures:
+    """Sparse features of interned kinds: a tag, and names whose weights share one unit length."""
+
+    column: np.ndarray
+    value: np.ndarray
+    size: np.ndarray
+    coupling: np.ndarray
+
+    @classmethod
+    def of(cls, kinds: Kinds) -> KindFeatures:
+        column = [c for tag, names in kinds.rows for c in (tag, *(len(TAGS) + k for k in sorted(names)))]
+        value = [v for _, names in kinds.rows for v in (1.0, *[max(len(names), 1) ** -0.5] * len(names))]
+        size = np.array([1 + len(names) for _, names in kinds.rows], np.int64)
+        return cls(np.array(column, np.int64), np.array(value), size, COUPLING[np.array([tag for tag, _ in kinds.rows], np.int64)])
+
+    def score(self, weights: np.ndarray) -> np.ndarray:
+        return np.add.reduceat(weights[self.column] * self.value, np.cumsum(self.size) - self.size)
+
+    def gradient(self, residual: np.ndarray) -> np.ndarray:
+        """Sums per feature of what each kind's blocks left over."""
+        return np.bincount(self.column, np.repeat(residual, self.size) * self.value, minlength=NAMED)
 
 
 def _lse(x: np.ndarray) -> np.ndarray:
@@ -83,14 +114,12 @@ class TreeModel:
     unary: np.ndarray  # weight of "content" per feature
     pair: np.ndarray  # [coupling, parent state, child state]
 
-    def beliefs(self, f: Forest, kinds: Kinds) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """(features, node marginals, pair marginals of non-roots, their indices)."""
-        kx, kc = kind_features(kinds)
-        x = np.concatenate([kx[f.kind], f.stats], axis=1)
-        coupling = self.pair[kc[f.kind]]
-        n = len(x)
+    def beliefs(self, f: Forest, kinds: KindFeatures) -> tuple[np.ndarray, np.ndarray]:
+        """(node marginals, pair marginals of non-roots)."""
+        n = len(f.parent)
+        coupling = self.pair[kinds.coupling[f.kind]]
         own = np.zeros((n, 2))
-        own[:, 1] = x @ self.unary
+        own[:, 1] = kinds.score(self.unary[:NAMED])[f.kind] + f.stats @ self.unary[NAMED:]
         up = np.zeros((n, 2))
         levels = f.levels()
         for level in reversed(levels[1:]):  # leaves to roots
@@ -108,25 +137,27 @@ class TreeModel:
             full[level] = own[level] + _lse(np.swapaxes(outside[:, :, None] + coupling[level], 1, 2))
             node[level] = np.exp(full[level] - _lse(full[level])[:, None])
             edge[level] = np.exp(joint - _lse(joint.reshape(len(level), 4))[:, None, None])
-        return x, node, edge, kc[f.kind]
+        return node, edge
 
-    def content(self, f: Forest, kinds: Kinds) -> np.ndarray:
-        return self.beliefs(f, kinds)[1][:, 1]
+    def content(self, f: Forest, kinds: KindFeatures) -> np.ndarray:
+        return self.beliefs(f, kinds)[0][:, 1]
 
 
-def fit(pages: list[tuple[str, str]], steps: int = 200, rate: float = 0.15, decay: float = 3e-4) -> TreeModel:
+def fit(pages: list[tuple[str, str]], steps: int = 250, rate: float = 0.1, decay: float = 1e-3) -> TreeModel:
     """Maximum conditional likelihood on labelled pages ``(html, mark attribute)``; mark value "1" is content."""
-    kinds = Kinds()
-    read_ = [read(h, kinds, mark) for h, mark in pages]
-    f = Forest.of(read_)
+    interned = Kinds()
+    read_ = [read(h, interned, mark) for h, mark in pages]
+    f, kinds = Forest.of(read_, interned), KindFeatures.of(interned)
     y = np.array([m == "1" for p in read_ for m in p.marks], int)
     model = TreeModel(np.zeros(FEATURES), np.zeros((3, 2, 2)))
     inner = np.flatnonzero(f.parent >= 0)
+    coupling = kinds.coupling[f.kind]
     m = [np.zeros_like(model.unary), np.zeros_like(model.pair)]
     v = [np.zeros_like(model.unary), np.zeros_like(model.pair)]
     for step in range(1, steps + 1):
-        x, node, edge, coupling = model.beliefs(f, kinds)
-        gu = x.T @ (y - node[:, 1]) / len(pages) - decay * model.unary
+        node, edge = model.beliefs(f, kinds)
+        left = y - node[:, 1]
+        gu = np.concatenate([kinds.gradient(np.bincount(f.kind, left, minlength=len(kinds.size))), f.stats.T @ left]) / len(pages) - decay * model.unary
         gp = np.zeros_like(model.pair)
         np.add.at(gp, (coupling[inner], y[f.parent[inner]], y[inner]), 1)
         np.add.at(gp, coupling[inner], -edge[inner])
@@ -139,7 +170,7 @@ def fit(pages: list[tuple[str, str]], steps: int = 200, rate: float = 0.15, deca
 
 
 @lru_cache(maxsize=2)
-def default_model(n_pages: int = 300, seed: int = 17) -> TreeModel:
+def default_model(n_pages: int = 600, seed: int = 17) -> TreeModel:
     from .html_training import MARK, labelled_pages
 
     return fit([(h, MARK) for h, _ in labelled_pages(n_pages, seed)])
@@ -149,8 +180,8 @@ def page_texts(htmls: list[str], model: TreeModel) -> list[str]:
     """The main text of every page: white space in a block is one space, blocks are joined by one."""
     kinds = Kinds()
     pages = [read(h, kinds) for h in htmls]
-    f = Forest.of(pages)
-    keep = model.content(f, kinds) >= 0.5
+    f = Forest.of(pages, kinds)
+    keep = model.content(f, KindFeatures.of(kinds)) >= 0.5
     out = []
     for p, at in zip(pages, f.first.tolist(), strict=True):
         blocks = (" ".join(html_lib.unescape("".join(run)).split()) for node, run in p.runs if keep[at + node])

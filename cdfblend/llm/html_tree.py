@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import re
 from collections import Counter
+from zlib import crc32
 
 _TOKEN = re.compile(
     r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|</([a-zA-Z][^\s/>]*)[^>]*(?:>|\Z)|<([a-zA-Z][^\s/>]*)((?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+)>|<([a-zA-Z][^\s/>]*)([^>]*)(?:>|\Z)",
@@ -36,27 +37,24 @@ _GROUP |= {f"h{k}": "heading" for k in range(1, 7)} | dict.fromkeys("ul ol menu
 _GROUP |= dict.fromkeys("table tbody thead tfoot tr".split(), "table") | dict.fromkeys("td th caption".split(), "cell") | dict.fromkeys("blockquote pre address".split(), "quote")
 _GROUP |= dict.fromkeys("figure figcaption".split(), "figure") | dict.fromkeys("details summary dialog".split(), "details") | dict.fromkeys("button label select option fieldset legend optgroup datalist output".split(), "field")
 
-#: Word stems of class, id and role names, by what they tend to mark.
-STEMS = {
-    "advert": "ad ads adv advert advertisement adsense sponsor sponsored promo promotion banner dfp",
-    "menu": "nav navbar navigation menu breadcrumb breadcrumbs toc tabs pager pagination skip",
-    "comment": "comment comments reply replies disqus discussion respond feedback reviews",
-    "side": "sidebar side rail widget related recommended recommendations more popular trending teaser complementary aside",
-    "top": "header masthead topbar top logo branding site banner",
-    "bottom": "footer foot copyright legal contentinfo colophon bottom",
-    "notice": "cookie cookies consent gdpr notice alert popup modal overlay newsletter subscribe subscription paywall signup message warning",
-    "share": "share sharing social follow tweet like likes buttons tools",
-    "form": "form login search input signin register contact",
-    "content": "content article post entry story body text main page hentry copy prose",
-    "meta": "meta byline author date tags tag category info caption credit",
-}
-_STEM = {w: k for k in reversed(list(STEMS)) for w in STEMS[k].split()}
-LEXICON = list(STEMS)
-_SPLIT = re.compile(r"[^a-z]+|(?<=[a-z])(?=[A-Z])")
+#: Buckets that words of class, id and role names and their four-letter pieces are hashed into.
+NAME_BUCKETS = 2048
+_WORD = re.compile(r"[^\W\d_]+")
+_HUMP = re.compile(r"(?<=[a-z])(?=[A-Z])")
+
+
+def name_features(names: str) -> frozenset[int]:
+    """Buckets of the words in some names, camel case split, and of the words' four-letter pieces."""
+    out = set()
+    for word in _WORD.findall(_HUMP.sub(" ", names)):
+        w = f"^{word.lower()}$"
+        out.add(crc32(w.encode()) % NAME_BUCKETS)
+        out.update(crc32(w[k : k + 4].encode()) % NAME_BUCKETS for k in range(len(w) - 3))
+    return frozenset(out)
 
 
 class Kinds:
-    """Interned element kinds: tag group and lexicon hits of class, id and role."""
+    """Interned element kinds: tag group and name features of class, id and role."""
 
     def __init__(self):
         self.of: dict[tuple[str, str], int] = {}
@@ -68,8 +66,7 @@ class Kinds:
         k = self.of.get(key)
         if k is None:
             names = " ".join(a or b or c for a, b, c in _ATTR.findall(attrs)) if attrs else ""
-            words = {w.lower() for w in re.split(r"[^A-Za-z]+|(?<=[a-z])(?=[A-Z])", names) if w}
-            row = (TAGS.index(_GROUP.get(tag, "other")), frozenset(LEXICON.index(_STEM[w]) for w in words if w in _STEM))
+            row = (TAGS.index(_GROUP.get(tag, "other")), name_features(names))
             if row not in self._ids:
                 self._ids[row] = len(self.rows)
                 self.rows.append(row)

