@@ -111,9 +111,9 @@ def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _register_sql() -> None:
-    from . import chat, embedding_dedup, minhash_dedup, mixing
+    from . import chat, embedding_dedup, minhash_dedup, mixing, sharding
 
-    ORACLES.update({"op1_embedding_dedup": embedding_dedup.ORACLE, "op2_minhash_dedup": minhash_dedup.ORACLE, "op8_chat_format": chat.ORACLE, "op9_source_mixing": mixing.ORACLE})
+    ORACLES.update({"op1_embedding_dedup": embedding_dedup.ORACLE, "op2_minhash_dedup": minhash_dedup.ORACLE, "op3_sharding": sharding.oracle(SHARDS), "op8_chat_format": chat.ORACLE, "op9_source_mixing": mixing.ORACLE})
 
 
 _register_sql()

@@ -72,3 +72,14 @@ def assign(df: DataFrame, key: str, shards: Sequence[str], slots: int = PRIME, n
     table = lookup(df.sparkSession, shards, slots).select(F.col("slot").alias("_slot"), F.col("shard").alias("_shard"))
     placed = base.withColumn("slot", slot_of(F.col(key), slots))
     return placed.join(F.broadcast(table), placed["slot"] == table["_slot"], "left").select(*[placed[c] for c in placed.columns], F.col("_shard").alias(name))
+
+
+def oracle(shards: Sequence[str], slots: int = PRIME) -> str:
+    """Placement of ``documents`` in SQL; the slot table is listed (tests hold it to whole preference lists)."""
+    listed = ",".join(map(str, fill_table(shards, slots)))
+    names = ", ".join(f"'{s}'" for s in shards)
+    return f"""
+WITH cell AS (SELECT unnest(string_split('{listed}', ',')) AS k, generate_subscripts(string_split('{listed}', ','), 1) - 1 AS slot),
+d AS (SELECT doc_id, CAST(('0x' || substr(md5(coalesce(CAST(doc_id AS VARCHAR), 'null')), 1, 8))::BIGINT % {slots} AS INTEGER) AS slot FROM documents)
+SELECT doc_id, d.slot, [{names}][CAST(k AS INTEGER) + 1] AS shard FROM d JOIN cell ON cell.slot = d.slot
+"""

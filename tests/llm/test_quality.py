@@ -32,6 +32,72 @@ def test_features_of_whole_texts_against_plain_python():
     assert np.isclose(x[7][Q.CLASSES] * 10, np.mean(marks[:64])) and np.isclose(x[8][Q.CLASSES] * 10, np.mean(marks[64:]))
 
 
+def plain_features(text):
+    """Feature rows of one text, passage by passage and word by word."""
+    raw = (text or "").encode()
+    words = [(m.start(), m.end()) for m in re.finditer(rb"[^\x20\x09-\x0D]+", raw)]
+    if not words:
+        return [[0.0] * Q.FEATURES]
+    low = [raw[a:b].lower() for a, b in words]  # bytes.lower folds A-Z alone
+    windows = [tuple(low[i : i + 4]) for i in range(len(low) - 3)] or [tuple(low)]
+    spread = [len(set(low)) / len(low) ** 0.8, 1 - len(set(windows)) / len(windows)]
+    punctuation = set(b"!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~")
+    out = []
+    for lo in range(0, len(words), 64):
+        part, mine = words[lo : lo + 64], low[lo : lo + 64]
+        begin = 0 if lo == 0 else part[0][0]
+        end = words[lo + 64][0] if lo + 64 < len(words) else len(raw)
+        span = raw[begin:end]
+        shares = [0] * Q.CLASSES
+        for byte in span:
+            c = 0 if 97 <= byte <= 122 else 1 if 65 <= byte <= 90 else 2 if 48 <= byte <= 57 else 3 if byte == 32 else 4 if byte == 10 else 6 if byte >= 128 else 5
+            shares[7 + sorted(punctuation).index(byte) if byte in punctuation else c] += 1
+        n = len(part)
+        size = [b - a for a, b in part]
+        cols = [
+            sum(size) / n / 10, sum(s > 15 for s in size) / n, sum(s == 1 for s in size) / n,
+            sum(raw[b - 1] in punctuation for _, b in part) / n, sum(raw[a] in punctuation for a, _ in part) / n, sum(65 <= raw[a] <= 90 for a, _ in part) / n,
+            len(set(mine)) / n, max(mine.count(w) for w in mine) / n, sum(a == b for a, b in zip(mine, mine[1:])) / n, np.log1p(n) / 5, *spread,
+        ]
+        out.append([(s / len(span)) ** 0.5 for s in shares] + cols)
+    return out
+
+
+def plain_score(model, rows):
+    """The forward pass of one bag in loops."""
+    w, hidden, energy = model.w, [], []
+    for row in rows:
+        x = [(v - m) / s for v, m, s in zip(row, model.mean, model.scale)]
+        h = [np.tanh(sum(a * b for a, b in zip(x, w["W"][:, k])) + w["b"][k]) for k in range(len(w["b"]))]
+        gate = [np.tanh(sum(a * b for a, b in zip(h, w["V"][:, k]))) / (1 + np.exp(-sum(a * b for a, b in zip(h, w["U"][:, k])))) for k in range(len(w["a"]))]
+        hidden.append(h)
+        energy.append(np.exp(sum(a * b for a, b in zip(gate, w["a"]))))
+    z = [sum(e * h[k] for e, h in zip(energy, hidden)) / sum(energy) for k in range(len(w["b"]))]
+    return 1 / (1 + np.exp(-(sum(a * b for a, b in zip(z, w["c"])) + w["d"][0])))
+
+
+def test_scores_equal_a_pass_in_loops(spark):
+    docs, labels = made(60)
+    long = " ".join(f"Word{i}, and (more) é" for i in range(2_000))  # 8,000 words: many passages in one bag
+    rows = [*docs[:12], (900, None, "", ""), (901, "", "", ""), (902, " \n ", "", ""), (903, "one", "", ""), (904, long, "", ""), (905, "a A a A " * 90, "", "")]
+    df = spark.createDataFrame(rows, DOCS)
+    model = Q.train(spark.createDataFrame(docs, DOCS), spark.createDataFrame(labels, LABELS))
+    for r in Q.score(df, model, name="p").collect():
+        assert abs(r.p - plain_score(model, plain_features(r.text))) < 1e-4
+
+
+def test_labels_that_tie_and_bounds_of_training(spark):
+    docs, labels = made(80)
+    df = spark.createDataFrame(docs, DOCS)
+    twice = spark.createDataFrame(labels + [(i, 0, "again") for i, _, _ in labels], LABELS)
+    once = spark.createDataFrame(labels, LABELS)
+    a, b = Q.train(df, twice), Q.train(df, once)
+    assert a.rows == b.rows and all(np.array_equal(a.w[k], b.w[k]) for k in a.w)
+    assert Q.train(df, once, train_docs=10).rows == 10
+    one = Q.train(df, once, train_passages=1)
+    assert one.rows == b.rows and not np.array_equal(one.w["W"], b.w["W"])
+
+
 def test_gradient_matches_differences():
     rng = np.random.default_rng(1)
     x, bags, y = rng.normal(size=(12, Q.FEATURES)), np.array([3, 1, 5, 3]), np.array([1.0, 0, 1, 0])

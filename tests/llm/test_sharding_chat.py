@@ -47,6 +47,18 @@ def test_table(spark):
     assert sharding.assign(spark.createDataFrame([], "doc_id long"), "doc_id", names).count() == 0
 
 
+def test_sharding_sql(spark, tmp_path):
+    from cdfblend.llm.queries import ORACLES, QUERIES
+
+    spark.createDataFrame([(k,) for k in [*range(300), 5, None, -7, 2**62]], "doc_id long").write.parquet(f"{tmp_path}/documents.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    key = lambda r: str(r)
+    want = con.execute(f"SELECT doc_id, slot, shard FROM ({ORACLES['op3_sharding']}) AS z").fetchall()
+    got = [tuple(r) for r in QUERIES["op3_sharding"](spark, str(tmp_path)).select("doc_id", "slot", "shard").collect()]
+    assert sorted(got, key=key) == sorted(want, key=key)
+
+
 def brute(rows):
     by = {}
     for c, t, r, x in sorted(rows, key=lambda q: tuple((v is not None, v if v is not None else 0) for v in q)):
