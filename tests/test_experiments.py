@@ -69,7 +69,7 @@ def test_inhomogeneous_leaves(spark):
 
 
 def test_longer_records_are_more_accurate(spark):
-    err = {m: W._record_error(spark, SF, m).first().error for m in (5, 20)}
+    err = {r.record: r.error for r in W.record_errors(spark, SF, (5, 20)).collect()}
     assert err[20] < err[5]
 
 
