@@ -66,7 +66,7 @@ EXACT_INVERSE = FlushRules("mid", "two_sided", "inner")
 
 def trim_levels(levels: np.ndarray, n: float) -> np.ndarray:
     """Levels clipped by half an observation of n at either end."""
-    return np.clip(levels, 0.5 / n, 1 - 0.5 / n) if n >= 1 else np.full(len(levels), 0.5)
+    return np.minimum(np.maximum(levels, 0.5 / n), 1 - 0.5 / n) if n >= 1 else np.full(len(levels), 0.5)
 
 
 def step_limits(x: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -74,19 +74,34 @@ def step_limits(x: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarr
     return np.searchsorted(values, x, side="left").astype(float), np.searchsorted(values, x, side="right").astype(float)
 
 
-def knot_limits(x: np.ndarray, knots: np.ndarray, levels: np.ndarray, n: float, interp: Interp = LINEAR, limits: str = "as_stated") -> tuple[np.ndarray, np.ndarray]:
-    """Left and right limits, as probabilities, of the curve through trimmed (knot, level) pairs."""
+def interleave(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct points of two sorted arrays, and how many of a and of b are at or below each: one linear merge, no searches."""
+    both = np.concatenate((a, b))
+    order = np.argsort(both, kind="stable")  # finds the two ascending runs
+    both = both[order]
+    ends = np.append(np.flatnonzero(both[1:] != both[:-1]), len(both) - 1)
+    of_b = np.cumsum(order >= len(a))[ends]
+    return both[ends], ends + 1 - of_b, of_b
+
+
+def knot_limits(x: np.ndarray, knots: np.ndarray, levels: np.ndarray, n: float, interp: Interp = LINEAR, limits: str = "as_stated", upto: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Left and right limits, as probabilities, of the curve through trimmed (knot, level) pairs.
+
+    ``upto``, where known, counts the knots at or below each x.
+    """
     q = trim_levels(levels, n)
     last = len(knots) - 1
-    at = np.searchsorted(knots, x, side="right") - 1
-    lo = np.clip(at, 0, max(last - 1, 0))
+    at = (np.searchsorted(knots, x, side="right") if upto is None else upto) - 1
+    lo = np.minimum(np.maximum(at, 0), max(last - 1, 0))
     hi = np.minimum(lo + 1, last)
-    width = knots[hi] - knots[lo]
+    start = knots[lo]
+    width = knots[hi] - start
     with np.errstate(divide="ignore", invalid="ignore"):
-        part = np.where(width > 0, (x - knots[lo]) / width, 0.0)
-    part = np.clip(part, 0, 1)
+        part = np.where(width > 0, (x - start) / width, 0.0)
+    part = np.minimum(np.maximum(part, 0.0), 1.0)
     y = interp.g(q)
-    mid = y[lo] + (y[hi] - y[lo]) * part
+    base = y[lo]
+    mid = base + (y[hi] - base) * part
     right = np.where(at < 0, 0.0, np.where(at >= last, 1.0, interp.g_inv(mid) if interp is not LINEAR else mid))
     if limits == "as_stated":
         return right, right
@@ -112,15 +127,19 @@ def invert(points: np.ndarray, lo: np.ndarray, hi: np.ndarray, total: float, lev
     p_up = (hi if rules.bracket == "outer" else lo)[up] / total
     p = levels
     if not interp.bounded:
-        p_dn, p_up, p = (np.clip(v, 0.5 / total, 1 - 0.5 / total) for v in (p_dn, p_up, p))
+        p_dn, p_up, p = (np.minimum(np.maximum(v, 0.5 / total), 1 - 0.5 / total) for v in (p_dn, p_up, p))
     a, b, c = interp.g(p_dn), interp.g(p_up), interp.g(p)
     with np.errstate(divide="ignore", invalid="ignore"):
         rho = np.where(b != a, (b - c) / (b - a), 0.5)
-    rho = np.clip(rho, 0, 1)
+    rho = np.minimum(np.maximum(rho, 0.0), 1.0)
     between = rho * points[dn] + (1 - rho) * points[up]
-    flat = {"low": points[up], "high": points[dn], "mid": (points[up] + points[dn]) / 2}[rules.plateau]
-    out = np.where(dn > up, flat, np.where(dn == up, points[up], between))
-    out = np.where(levels <= 0, points[0], np.where(levels >= 1, points[-1], out))
+    out = np.where(dn == up, points[up], between)
+    plateau = dn > up
+    if plateau.any():
+        a, b = points[up[plateau]], points[dn[plateau]]
+        out[plateau] = {"low": a, "high": b, "mid": (a + b) / 2}[rules.plateau]
+    out[levels <= 0] = points[0]
+    out[levels >= 1] = points[-1]
     return np.maximum.accumulate(out)
 
 
@@ -145,9 +164,14 @@ def flush(state: Knots, raw: np.ndarray, digests: Sequence[tuple[np.ndarray, np.
     parts = [d[0] for d in digests] + ([raw] if len(raw) else []) + ([state.values] if seen > 0 else [])
     if not parts:
         return state
+    total = seen + len(raw)
+    if len(raw) and seen > 0 and not digests:
+        points, below, upto = interleave(raw, state.values)
+        lo, hi = knot_limits(points, state.values, state.levels, max(seen, 1.0), interp, rules.limits, upto)
+        lo, hi = seen * lo + np.concatenate(([0], below[:-1])), seen * hi + below
+        return Knots(out_levels, invert(points, lo, hi, total, out_levels, interp, rules), total, state.parts)
     points = np.unique(np.concatenate(parts))
     curves = []
-    total = seen + len(raw)
     if seen > 0:
         lo, hi = knot_limits(points, state.values, state.levels, max(seen, 1.0), interp, rules.limits)
         curves.append((seen * lo, seen * hi))

@@ -14,6 +14,7 @@ from ..operators.digest import Scheme
 from ..operators.leaf import summarize, summarize_arms
 from ..operators.rollup import merge, merge_levels
 from ..registry import query
+from ..scratch import once
 from ..sources import simulate as S
 from ..sources.tables import ORDER, hierarchy, table
 from .methods import EXACT5, FIVE, LI_ORDER, VALUE, flat, leaf_lists, rolled
@@ -83,7 +84,9 @@ LOGIT = Scheme(grid="round41", report="round41", batch=41, interp="logit")
 
 
 def sim_small(spark, runs: int = 1000, sizes=(1000, 10_000)) -> DataFrame:
-    return S.leaf_ratios(S.leaf_runs(spark, runs, sizes, {"uniform+linear": UNIFORM, "logit+logit": LOGIT}))
+    """Ratios of both schemes; the queries that read different measures of one study share its runs."""
+    arms = {"uniform+linear": UNIFORM, "logit+logit": LOGIT}
+    return once(spark, ("sim_small", runs, tuple(sizes)), lambda: S.leaf_ratios(S.leaf_runs(spark, runs, sizes, arms)))
 
 
 query(None, "sim_ratio")(lambda spark, sf: sim_small(spark))
@@ -91,9 +94,10 @@ query(None, "sim_ratio")(lambda spark, sf: sim_small(spark))
 query(None, "sim_ratio_log")(lambda spark, sf: S.leaf_ratios(S.leaf_runs(spark, 1000, (1000, 10_000), {"uniform+linear/log": UNIFORM.but(scale="log"), "logit+logit/log": LOGIT.but(scale="log")}, ("lognormal", "beta92"))))
 
 
-def sim_large(spark, runs: int = 1000, sizes=(1000, 10_000, 100_000, 1_000_000, 10_000_000)) -> DataFrame:
-    s = Scheme(grid="logit:1000:1e-6", report="list:0.0,0.01,0.05,0.1,0.25,0.5,0.75,0.9,0.95,0.99,1.0", batch=1000, interp="logit")
-    return S.leaf_ratios(S.leaf_runs(spark, runs, sizes, {"logit1000": s}, ("lognormal",)))
+def sim_large(spark, runs: int = 1000, sizes=(1000, 10_000, 100_000, 1_000_000, 10_000_000), grid: str = "logit:1000:1e-6") -> DataFrame:
+    """Ratios of large samples. How far the tracked levels reach is not stated for this study; the default is that of the roll-up study."""
+    s = Scheme(grid=grid, report="list:0.0,0.01,0.05,0.1,0.25,0.5,0.75,0.9,0.95,0.99,1.0", batch=1000, interp="logit")
+    return once(spark, ("sim_large", runs, tuple(sizes), grid), lambda: S.leaf_ratios(S.leaf_runs(spark, runs, sizes, {"logit1000": s}, ("lognormal",))))
 
 
 query(None, "sim_ratio_mid")(lambda spark, sf: S.ratio_by_size(sim_large(spark)))

@@ -6,8 +6,9 @@ import atexit
 import shutil
 import tempfile
 import uuid
+from collections.abc import Callable
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 _local: list[str] = []
 
@@ -23,3 +24,16 @@ def scratch(spark: SparkSession) -> str:
             atexit.register(shutil.rmtree, _local[0], True)
         root = f"file://{_local[0]}"
     return f"{root.rstrip('/')}/store-{uuid.uuid4().hex[:12]}"
+
+
+_ONCE: dict[tuple, str] = {}
+
+
+def once(spark: SparkSession, key: tuple, make: Callable[[], DataFrame]) -> DataFrame:
+    """What ``make`` gives, computed and written by the first call of an application with this key, read by later ones."""
+    at = (spark.sparkContext.applicationId, *key)
+    if at not in _ONCE:
+        path = scratch(spark)
+        make().write.parquet(path)
+        _ONCE[at] = path
+    return spark.read.parquet(_ONCE[at])

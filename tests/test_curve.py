@@ -6,7 +6,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from cdfblend.functions import levels as L
-from cdfblend.functions.curve import CLOGLOG, EXACT_INVERSE, LINEAR, LOGIT, PROBIT, FlushRules, Knots, flush, knot_limits, read_levels, trim_levels
+from cdfblend.functions.curve import CLOGLOG, EXACT_INVERSE, LINEAR, LOGIT, PROBIT, FlushRules, Knots, flush, interleave, knot_limits, read_levels, trim_levels
 from cdfblend.functions.scale import scale
 from cdfblend.operators.digest import Scheme, Summary, adapt_levels
 
@@ -128,3 +128,13 @@ def test_scales():
     scale("log1p").check(np.array([0.0]))
     with pytest.raises(ValueError):
         Scheme(scale="nope")
+
+
+def test_interleave_counts_as_searches_do():
+    rng = np.random.default_rng(5)
+    for draw in (lambda m: rng.standard_normal(m), lambda m: rng.integers(-3, 4, m).astype(float)):
+        for _ in range(50):
+            a, b = np.sort(draw(int(rng.integers(1, 40)))), np.sort(draw(int(rng.integers(1, 40))))
+            points, of_a, of_b = interleave(a, b)
+            assert np.array_equal(points, np.unique(np.concatenate([a, b])))
+            assert np.array_equal(of_a, np.searchsorted(a, points, side="right")) and np.array_equal(of_b, np.searchsorted(b, points, side="right"))

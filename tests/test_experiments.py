@@ -46,6 +46,17 @@ def test_large_samples_grow_slowly(spark):
     assert got[1000] == pytest.approx(1.0, abs=0.02) and got[20_000] < 1.2
 
 
+def test_measures_of_one_study_share_its_runs(spark):
+    first = W.sim_large(spark, 3, (1000, 2000))
+    again = W.sim_large(spark, 3, (1000, 2000))
+    s = W.Scheme(grid="logit:1000:1e-6", report="list:0.0,0.01,0.05,0.1,0.25,0.5,0.75,0.9,0.95,0.99,1.0", batch=1000, interp="logit")
+    fresh = S.leaf_ratios(S.leaf_runs(spark, 3, (1000, 2000), {"logit1000": s}, ("lognormal",)))
+    rows = lambda df: sorted((r.n, r.level, r.runs, round(r.ratio, 12)) for r in df.collect())
+    assert first.inputFiles() == again.inputFiles() and rows(again) == rows(fresh)
+    other = W.sim_large(spark, 3, (1000, 2000), grid="logit:1000:0.0025")
+    assert other.inputFiles() != first.inputFiles()
+
+
 def test_pooled_stream_within_two_standard_errors(spark):
     rows = W.pooled(spark, SF, "events", "value").collect()
     assert len(rows) == 6 and sum(r.within for r in rows) >= 5
@@ -93,6 +104,7 @@ def asked(monkeypatch):
 
         monkeypatch.setattr(S, name, instead)
 
+    monkeypatch.setattr(W, "once", lambda spark, key, make: make())  # nothing to store
     record("inhomogeneous_runs")
     record("leaf_runs")
     chain = type("Chain", (), {"select": lambda self, *c: self})()
