@@ -106,3 +106,34 @@ def exact_digests(source: str, key: str, value: str, levels: Sequence[float], pl
     """Digests of whole groups as one batch: ``(key, n, m, p, v)`` by ranks, for groups of any size."""
     pick = {"low": "lo", "high": "hi", "mid": "(lo + hi) / 2"}[plateau]
     return f"""SELECT g.k, g.n, lv.m, lv.p, (SELECT {pick} FROM (SELECT CAST(min(x) FILTER (WHERE s.up >= lv.p * g.n - 1e-12 * g.n) AS DOUBLE) AS lo, CAST(max(x) FILTER (WHERE s.dn <= lv.p * g.n + 1e-12 * g.n) AS DOUBLE) AS hi FROM cum AS s WHERE s.k = g.k) AS z) AS v FROM (SELECT k, any_value(n) AS n FROM cum GROUP BY k) AS g CROSS JOIN ({levels_sql(levels)}) AS lv"""
+
+
+def read_out(levels: Sequence[float], knots: str) -> str:
+    """CTEs that end in ``kn_1``: knots ``(k, n, m, p, v)`` of every key read at other levels."""
+    return unrolled(levels, 1, 10**9, None, f"SELECT k, 1 AS rn, 1 AS cid, n, m, p, v FROM ({knots}) AS knots")
+
+
+def tracker(raw: str, p: float, weight: float | None = None, first: int = 20) -> str:
+    """Stochastic approximation of one quantile, one step a value: ``k, n, level, value`` of ``(k, rn, x)``."""
+    a = "(1 / CAST(e.n AS DOUBLE))" if weight is None else repr(weight)
+    h = f"(s.r / sqrt(e.n / {float(first)}))" if weight is None else "(s.r / 2)"
+    f = f"((1 - {a}) * s.f + {a} * CAST(abs(e.x - s.q) <= {h} AS DOUBLE) / (2 * {h}))"
+    q = f"(s.q + {a} / greatest({f}, CAST(0.1 AS DOUBLE) / s.r / sqrt(e.n)) * ({p!r}::DOUBLE - CAST(e.x <= s.q AS DOUBLE)))"
+    return f"""WITH raw AS MATERIALIZED ({raw}),
+e0 AS (SELECT k, quantile_cont(x, {p}) AS q, greatest(quantile_cont(x, 0.75) - quantile_cont(x, 0.25), 1e-9) AS r FROM raw WHERE rn <= {first} GROUP BY k),
+e1 AS (SELECT e0.k, any_value(q) AS q, any_value(r) AS r, greatest(avg(CAST(abs(x - q) <= r AS DOUBLE)) / (2 * any_value(r)), 1e-12) AS f FROM e0 JOIN raw USING (k) WHERE rn <= {first} GROUP BY e0.k),
+steps AS (SELECT k, list(struct_pack(n := rn, x := CAST(x AS DOUBLE), q := q, r := r, f := f) ORDER BY rn) AS l, count(*) AS n FROM raw JOIN e1 USING (k) WHERE rn >= least({first}, (SELECT count(*) FROM raw AS c WHERE c.k = e1.k)) GROUP BY k)
+SELECT k, max(rn) AS n, CAST({p} AS DOUBLE) AS level, any_value(v) AS value FROM raw JOIN (SELECT k, list_reduce(l, lambda s, e: struct_pack(n := e.n, x := e.x, q := {q}, r := s.r, f := {f})).q AS v FROM steps) AS z USING (k) GROUP BY k"""
+
+
+def brackets(raw: str, levels: Sequence[float], size: int = 50) -> str:
+    """Bracketing buffers of ``size`` values, one value a step: ``k, level, value`` of ``(k, rn, x)``."""
+    low, high = f"(e.n > {size} AND e.x < s.b[1])", f"(e.n > {size} AND e.x > s.b[len(s.b)])"
+    b, under = f"(CASE WHEN {low} OR {high} THEN s.b ELSE list_sort(list_append(s.b, e.x)) END)", f"(s.u + CAST({low} AS BIGINT))"
+    drop = f"(s.p * e.n - {under} > len({b}) / 2.0::DOUBLE)"
+    b2 = f"(CASE WHEN len({b}) <= {size} THEN {b} WHEN {drop} THEN {b}[2:] ELSE {b}[:{size}] END)"
+    u2 = f"({under} + CAST(len({b}) > {size} AND {drop} AS BIGINT))"
+    return f"""WITH raw AS ({raw}),
+steps AS (SELECT k, lv.p, list(struct_pack(n := rn, x := CAST(x AS DOUBLE), p := lv.p, b := [CAST(x AS DOUBLE)], u := CAST(0 AS BIGINT)) ORDER BY rn) AS l FROM raw CROSS JOIN ({levels_sql(levels)}) AS lv GROUP BY k, lv.p),
+ends AS (SELECT k, p, list_reduce(l, lambda s, e: struct_pack(n := e.n, x := e.x, p := s.p, b := {b2}, u := {u2})) AS s FROM steps)
+SELECT k, p AS level, s.b[CAST(greatest(0, least(len(s.b) - 1, ceil(p * s.n) - s.u - 1)) AS BIGINT) + 1] AS value FROM ends"""

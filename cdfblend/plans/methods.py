@@ -525,11 +525,16 @@ from statistics import NormalDist  # noqa: E402
 query(" UNION ALL ".join(f"SELECT event_type, CAST({p} AS DOUBLE) AS level, round(avg(value) + stddev_samp(value) * {NormalDist().inv_cdf(p)!r}, 7) AS value FROM events GROUP BY event_type" for p in T6), "normal_fit")(
     lambda spark, sf: _r4(B.normal_fit_quantiles(ev(spark, sf), ["event_type"], "value", T6))
 )
-query(None, "sa_basic")(lambda spark, sf: B.stochastic_quantile(ev(spark, sf), ["event_type"], "value", ORDER["events"], 0.9))
-query(None, "sa_ewma")(lambda spark, sf: B.stochastic_quantile(ev(spark, sf), ["event_type"], "value", ORDER["events"], 0.9, weight=0.02))
+_BY_TYPE = "SELECT event_type AS k, row_number() OVER (PARTITION BY event_type ORDER BY ts, event_id) AS rn, value AS x FROM events WHERE value IS NOT NULL"
+for _name, _weight in (("sa_basic", None), ("sa_ewma", 0.02)):
+    query(f"SELECT k AS event_type, n, level, round(value, 7) AS value FROM ({O.tracker(_BY_TYPE, 0.9, _weight)}) AS z", _name)(
+        lambda spark, sf, weight=_weight: _r4(B.stochastic_quantile(ev(spark, sf), ["event_type"], "value", ORDER["events"], 0.9, weight=weight))
+    )
 query("SELECT CAST(0.9 AS DOUBLE) AS level, quantile_disc(value, 0.9) AS value FROM events", "multipass_select")(lambda spark, sf: B.multipass_select(ev(spark, sf), "value", 0.9, memory=500).select("level", "value"))
-query(None, "bracket_one")(lambda spark, sf: B.bracket_buffers(ev(spark, sf), ["event_type"], "value", ORDER["events"], [0.9]))
-query(None, "bracket_many")(lambda spark, sf: B.bracket_buffers(ev(spark, sf), ["event_type"], "value", ORDER["events"], T6))
+for _name, _levels in (("bracket_one", [0.9]), ("bracket_many", T6)):
+    query(f"SELECT k AS event_type, level, value FROM ({O.brackets(_BY_TYPE, _levels)}) AS z", _name)(
+        lambda spark, sf, levels=_levels: B.bracket_buffers(ev(spark, sf), ["event_type"], "value", ORDER["events"], levels)
+    )
 query(None, "rank_sketch")(lambda spark, sf: B.rank_sketch(ev(spark, sf), ["event_type"], "value", T6))
 query(None, "kll")(lambda spark, sf: B.kll(ev(spark, sf), ["event_type"], "value", T6))
 query(f"""WITH {leaf_lists(_SUP, FIVE)} SELECT s_nationkey, p AS level, round(sum(n * v) / sum(n), 7) AS value FROM dg JOIN supplier ON s_suppkey = dg.k WHERE p IN (0.25, 0.5, 0.75) GROUP BY s_nationkey, p""", "naive_mean_quantile")(

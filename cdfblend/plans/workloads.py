@@ -51,7 +51,20 @@ def pooled(spark, sf, name: str, value: str) -> DataFrame:
 
 
 query(None, "tab1_events")(lambda spark, sf: pooled(spark, sf, "events", "value"))
-query(None, "tab1_docs")(lambda spark, sf: pooled(spark, sf, "documents", "n_chars"))
+_LENGTHS = "SELECT 0 AS k, row_number() OVER (ORDER BY doc_id) AS rn, ln(1 + n_chars) AS x FROM documents"
+_round = lambda df, *names: df.withColumns({c: F.round(c, 6) for c in names})
+
+
+def pooled_sql() -> str:
+    """As ``pooled`` of text lengths, by ten unrolled flushes: for tables of up to 1000 documents."""
+    knots = f"WITH {O.unrolled(O.logit_list(100, 0.0025), 10, 100, _LENGTHS)}\nSELECT k, w AS n, m, p, v FROM kn_10"
+    est = O.final(O.read_out([0.0, *T6, 1.0], knots), 1, "p AS level, exp(v) - 1 AS estimate")
+    one = "SELECT CAST({p} AS DOUBLE) AS level, CAST(quantile_disc(n_chars, {p}) AS DOUBLE) AS exact, 2 * sqrt({p} * (1 - {p}) / count(n_chars)) * (quantile_cont(n_chars, {hi}) - quantile_cont(n_chars, {lo})) / ({hi} - {lo}) AS two_se FROM documents"
+    exact = " UNION ALL ".join(one.format(p=p, hi=round(min(p + 0.01, 1.0), 12), lo=round(p - 0.01, 12)) for p in T6)
+    return f"SELECT level, round(estimate, 6) AS estimate, round(exact, 6) AS exact, round(estimate - exact, 6) AS difference, round(two_se, 6) AS two_se, abs(estimate - exact) <= two_se AS within FROM ({est}) AS a JOIN ({exact}) AS b USING (level)"
+
+
+query(pooled_sql(), "tab1_docs")(lambda spark, sf: _round(pooled(spark, sf, "documents", "n_chars"), "estimate", "exact", "difference", "two_se"))
 query(" UNION ALL ".join(f"SELECT CAST({p} AS DOUBLE) AS level, quantile_disc(value, {p}) AS value FROM events" for p in T6), "tab1_exact")(
     lambda spark, sf: B.exact_quantiles(table(spark, sf, "events"), [], "value", T6)
 )
@@ -63,7 +76,8 @@ def small_knots(docs: DataFrame) -> DataFrame:
     return summarize(docs, [], "n_chars", ["doc_id"], SMALL_LOGIT).select(F.posexplode("digest.vals").alias("i", "v")).select("i", F.round("v", 6).alias("value"))
 
 
-query(None, "tab1_slice")(lambda spark, sf: small_knots(table(spark, sf, "documents")))
+# seventeen unrolled flushes: for tables of up to 1020 documents
+query(O.final(O.unrolled(O.logit_list(30, 0.0025), 17, 60, _LENGTHS), 17, "m AS i, round(exp(v) - 1, 6) AS value"), "tab1_slice")(lambda spark, sf: small_knots(table(spark, sf, "documents")))
 
 # ---- the small worked picture: five knots, batches of ten, the third flush ------------------------------------
 _THIRTY = "SELECT * FROM (SELECT user_id AS k, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) AS rn, value AS x FROM events) AS z WHERE rn <= 30"
@@ -147,14 +161,39 @@ def series(spark, sf, tier: int, key: str) -> DataFrame:
     return A.compare(d, B.exact_quantiles(e, [key], "value", [0.5, 0.9]), [key])
 
 
-query(None, "fig7_series")(lambda spark, sf: series(spark, sf, 1, "hour").where("hour >= timestamp_ntz'2024-01-08' and hour < timestamp_ntz'2024-01-15'"))
-query(None, "fig8_series")(lambda spark, sf: series(spark, sf, 2, "day"))
+U100, R11 = O.uniform_list(100), list(L.REPORT_11)
+_HOURS = leaf_lists("SELECT date_trunc('hour', ts) AS k, ln(1 + value) AS x FROM events", U100, len(R11))
+#: Digests of full hours on the log scale; an hour is one flush while it has at most 100 users.
+_FULL_HOURS = f"WITH {_HOURS},\n{O.read_out(R11, 'SELECT k, n, m, p, v FROM dg')}\nSELECT k, w AS n, m, p, v FROM kn_1"
+_SMALL_HOURS = f"WITH {_HOURS} SELECT k, n, x FROM rw"
+
+
+def series_sql(tier: str) -> str:
+    """As ``series``, curve by curve: hours from their values, days from the hours' digests in one flush."""
+    small = "list_sort(list(exp(x) - 1))[CAST(greatest(1, ceil(level * any_value(n) - 1e-9)) AS BIGINT)]"
+    est = f"SELECT k, p AS level, exp(v) - 1 AS estimate FROM ({_FULL_HOURS}) AS h UNION ALL SELECT k, level, {small} FROM ({_SMALL_HOURS}) AS h CROSS JOIN (VALUES (CAST(0.5 AS DOUBLE)), (0.9)) AS q(level) GROUP BY k, level"
+    if tier == "day":
+        raw = f"SELECT date_trunc('day', k) AS k, 1 AS rn, x FROM ({_SMALL_HOURS}) AS h"
+        dig = f"SELECT date_trunc('day', k) AS k, 1 AS rn, epoch(k) AS cid, n, m, p, v FROM ({_FULL_HOURS}) AS h"
+        days = f"WITH {O.unrolled(U100, 1, 10**9, raw, dig)}\nSELECT k, w AS n, m, p, v FROM kn_1"
+        est = O.final(O.read_out(R11, days), 1, "k, p AS level, exp(v) - 1 AS estimate")
+    exact = " UNION ALL ".join(f"SELECT date_trunc('{tier}', ts) AS k, CAST({p} AS DOUBLE) AS level, quantile_disc(value, {p}) AS exact FROM events GROUP BY ALL" for p in (0.5, 0.9))
+    return f"SELECT k AS {tier}, level, estimate, exact, estimate - exact AS difference FROM ({est}) AS a JOIN ({exact}) AS b USING (k, level)"
+
+
+_rounded = lambda tier: f"SELECT {tier}, level, round(estimate, 6) AS estimate, round(exact, 6) AS exact, round(difference, 6) AS difference FROM ({series_sql(tier)}) AS z"
+_within = lambda tier: f"SELECT level, avg(CAST(abs(difference) <= CAST(0.10 AS DOUBLE) * abs(exact) AS DOUBLE)) AS fraction, count(*) AS cells FROM ({series_sql(tier)}) AS z GROUP BY level"
+_three = ("estimate", "exact", "difference")
+query(_rounded("hour") + " WHERE hour >= TIMESTAMP '2024-01-08' AND hour < TIMESTAMP '2024-01-15'", "fig7_series")(
+    lambda spark, sf: _round(series(spark, sf, 1, "hour").where("hour >= timestamp_ntz'2024-01-08' and hour < timestamp_ntz'2024-01-15'"), *_three)
+)
+query(_rounded("day"), "fig8_series")(lambda spark, sf: _round(series(spark, sf, 2, "day"), *_three))
 for _key, _trunc in (("hour", "hour"), ("day", "day")):
     query(" UNION ALL ".join(f"SELECT date_trunc('{_trunc}', ts) AS {_key}, CAST({p} AS DOUBLE) AS level, quantile_disc(value, {p}) AS value FROM events GROUP BY ALL" for p in (0.5, 0.9)), f"tab2_exact_{_key}")(
         lambda spark, sf, key=_key: B.exact_quantiles(table(spark, sf, "events").withColumn(key, F.date_trunc(key, "ts").cast("timestamp_ntz")), [key], "value", [0.5, 0.9])
     )
-query(None, "tab2_hour")(lambda spark, sf: A.within_fraction(series(spark, sf, 1, "hour"), ["level"]))
-query(None, "tab2_day")(lambda spark, sf: A.within_fraction(series(spark, sf, 2, "day"), ["level"]))
+query(_within("hour"), "tab2_hour")(lambda spark, sf: A.within_fraction(series(spark, sf, 1, "hour"), ["level"]))
+query(_within("day"), "tab2_day")(lambda spark, sf: A.within_fraction(series(spark, sf, 2, "day"), ["level"]))
 
 # ---- inhomogeneous leaves -----------------------------------------------------------------------------------
 query(None, "inhomog_ratio")(lambda spark, sf: S.inhomogeneous_ratios(S.inhomogeneous_runs(spark, 500, leaves=1000, per_leaf=1000)))
