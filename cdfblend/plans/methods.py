@@ -563,14 +563,18 @@ query("SELECT source, round(quantile_disc(n_chars, 0.99) / quantile_disc(n_chars
 )
 
 
-@query()
+_MD5, _MEDIAN = "md5(CAST(k AS VARCHAR))", "(SELECT v FROM dg WHERE dg.k = ll.k AND dg.m = 2)"
+_TWO = [rolled(_SUP, FIVE, _SUP_NATION, order, 6, 3, "k AS s_nationkey, p AS level, round(v, 6) AS value") for order in (_MD5, _MEDIAN)]
+
+
+@query(f"SELECT round(max(abs(a.value - b.value)), 6) AS max_gap, round(max(abs(a.value - b.value) / nullif(abs(a.value), 0)), 9) AS max_relative, count(*) AS cells FROM ({_TWO[0]}) AS a JOIN ({_TWO[1]}) AS b USING (s_nationkey, level)")
 def order_gap(spark, sf):
     """Random against sorted arrival of supplier digests, at a small batch."""
     s = EXACT5.but(batch=3)
     d = _supplier_digests(spark, sf)
     a = R.long(merge(d, ["s_nationkey"], "digest", [F.md5(F.col("l_suppkey").cast("string"))], s), ["s_nationkey"])
     b = R.long(merge(d, ["s_nationkey"], "digest", [F.get("digest.vals", F.lit(2))], s), ["s_nationkey"])
-    return A.order_gap(a, b, ["s_nationkey"])
+    return A.order_gap(a, b, ["s_nationkey"]).withColumns({"max_gap": F.round("max_gap", 6), "max_relative": F.round("max_relative", 9)})
 
 
 @query("SELECT date_trunc('day', ts) AS day, count(*) AS n, count(DISTINCT date_trunc('hour', ts)) AS parts, min(value) AS low, max(value) AS high FROM events WHERE ts >= TIMESTAMP '2024-01-05' AND ts < TIMESTAMP '2024-01-20' GROUP BY ALL")

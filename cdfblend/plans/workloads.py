@@ -250,7 +250,17 @@ def record_errors(spark, sf, lengths=(5, 10, 20, 50)) -> DataFrame:
     return _relative_error(est, exact, "s_nationkey").select(F.col("arm").cast("int").alias("record"), "error")
 
 
-query(None, "ablate_record_length")(record_errors)
+def record_errors_sql(lengths=(5, 10, 20, 50), flushes: int = 4) -> str:
+    """As ``record_errors``: for nations of up to 40 suppliers."""
+    nation = "(SELECT s_nationkey FROM supplier WHERE s_suppkey = {})".format
+    prices = "SELECT l_suppkey AS k, l_extendedprice AS x FROM lineitem WHERE l_suppkey IN (SELECT s_suppkey FROM supplier)"
+    arm = lambda m: rolled(prices, O.uniform_list(m), nation("ll.k"), "k", flushes, 10, f"{m} AS record, k, p, v", knots=O.uniform_list(101))
+    est = " UNION ALL ".join(f"SELECT * FROM ({arm(m)}) AS z WHERE p IN (0.25, 0.5, 0.75)" for m in lengths)
+    exact = " UNION ALL ".join(f"SELECT {nation('l_suppkey')} AS k, CAST({p} AS DOUBLE) AS p, quantile_disc(l_extendedprice, {p}) AS e FROM lineitem GROUP BY ALL" for p in (0.25, 0.5, 0.75))
+    return f"SELECT CAST(record AS INT) AS record, round(avg(abs(v - e) / e), 9) AS error FROM ({est}) AS a JOIN ({exact}) AS b USING (k, p) GROUP BY record"
+
+
+query(record_errors_sql(), "ablate_record_length")(lambda spark, sf: record_errors(spark, sf).withColumn("error", F.round("error", 9)))
 
 # ---- slices, rankings, other domains ------------------------------------------------------------------------
 _H = "events AS e JOIN customer AS c ON c.c_custkey = e.user_id JOIN nation AS n ON n.n_nationkey = c.c_nationkey JOIN region AS r ON r.r_regionkey = n.n_regionkey"
