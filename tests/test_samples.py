@@ -54,7 +54,7 @@ def test_runs_against_a_loop(spark, monkeypatch):
     assert len(got) == len(want) and dict(got) == want
 
 
-@pytest.mark.parametrize(("name", "dists"), [("sim_ratio", 3), ("sim_bias", 3), ("sim_rmse", 3), ("sim_ratio_log", 2), ("sim_ratio_mid", 1)])
+@pytest.mark.parametrize(("name", "dists"), [("sim_ratio", 3), ("sim_bias", 3), ("sim_rmse", 3), ("sim_ratio_log", 2), ("sim_ratio_mid", 1), ("sim_growth", 1)])
 def test_registered_studies_sample_whole_columns(spark, monkeypatch, name, dists):
     seen = []
     monkeypatch.setattr(W, "once", lambda spark, key, make: make())
