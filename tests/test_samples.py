@@ -72,3 +72,24 @@ def test_registered_studies_sample_whole_columns(spark, monkeypatch, name, dists
 
 def test_no_column_is_long_enough(spark):
     assert T.sample_ratios([T.population(spark, SF, "total")], (10_000,), {"a": W.UNIFORM}).collect() == []
+
+
+def test_groups_of_suppliers_against_a_loop(spark):
+    """Ten suppliers in two groups: one flush each, so that order does not matter."""
+    rows = W.far_prices(spark, SF).select("l_suppkey", "price", F.pmod(F.xxhash64("l_suppkey"), F.lit(2)).alias("run")).toPandas()
+    assert rows.l_suppkey.nunique() == 10
+    at, levels = grid("report10").array(), np.array(W._TAILS)
+    got = {(r.arm, r.run, r.level): r for r in W.inhomog_runs(spark, SF).collect()}
+    assert len(got) == 4 * 2 * len(levels)
+    truth = exact(np.sort(rows.price.to_numpy()), levels)
+    digests = {r.l_suppkey: r.digest for r in W.inhomog_suppliers(spark, SF, Scheme(grid="report10", report="report10", batch=None)).collect()}
+    for run, part in rows.groupby("run"):
+        pooled = exact(np.sort(part.price.to_numpy()), levels)
+        for scale in ("identity", "log"):
+            s = Summary(Scheme(grid="logit:1000:1e-6", report="list:0.0," + ",".join(map(repr, W._TAILS)) + ",1.0", batch=100, interp="logit", scale=scale))
+            s.add_digests([(len(x), 1, False, "report10", np.array(digests[k].vals)) for k, x in part.groupby("l_suppkey")])
+            for order in ("random", "sorted"):
+                for p, v, e, t in zip(W._TAILS, s.digest()["vals"][1:-1], pooled, truth, strict=True):
+                    r = got[f"{scale}/{order}", run, p]
+                    assert (r.estimate, r.exact, r.truth) == (pytest.approx(v), e, t)
+    assert {r.runs for r in QUERIES["inhomog_ratio"](spark, SF).collect()} == {2}
