@@ -8,7 +8,7 @@ from cdfblend.functions.levels import grid
 from cdfblend.sources.tables import SCHEMAS
 
 QUERIES = cdfblend.plans.load().QUERIES
-GRIDS = {"grid_focus": "focus:21:0.9:0.5", "grid_logit": "logit:100:0.0025", "grid_round41": "round41" }
+GRIDS = {"grid_focus": "focus:21:0.9:0.5", "grid_logit": "logit:100:0.0025", "grid_round41": "round41", "grid_uniform": "uniform:41"}
 
 
 @pytest.fixture(scope="module")
